@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-from linkgraph.llm import near_dup
+from linkgraph.llm import bpe, near_dup
 
 
 def queries() -> dict:
-    return {"op9_near_dup": near_dup.op9_near_dup}
+    return {"op3_bpe": bpe.op3_bpe, "op9_near_dup": near_dup.op9_near_dup}
 
 
 def oracle_sql() -> dict[str, str]:
