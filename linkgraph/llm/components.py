@@ -35,6 +35,8 @@ def connected_components(edges: DataFrame, left: str = "a", right: str = "b", ma
         "edges",
     )
     nodes, mark = now, _fingerprint(now)
+    if not mark[0]:
+        return now.select(F.col("u").alias("node"), F.col("v").alias("component"))
     for _ in range(max_rounds):
         # large star: each node's larger neighbours (and itself) point at its minimum
         both = now.union(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
