@@ -1,8 +1,8 @@
 """Toxicity of whole texts: a weighted lexicon matched by Aho-Corasick.
 
-Texts are folded first: lower case, accents off, homoglyphs and digit or symbol
-substitutions mapped to the letters they imitate.  The lexicon's weights are
-learnt from labelled rows; phrases that contain a lexicon word but are no more
+Texts are folded first: lower case, homoglyphs and digit or symbol substitutions
+mapped to the letters they imitate.  The lexicon's words and stems and their
+weights are learnt from labelled rows; phrases that contain a lexicon word but are no more
 toxic than other text become exceptions, which cancel the word's weight.  The
 sum of weights is normalised by length and turned into a probability.
 """
@@ -22,40 +22,49 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from linkgraph.llm.common import materialise
+
 # Letters that look like Latin ones, and common substitutions.
 _LOOKALIKES = {
-    "а": "a", "в": "b", "с": "c", "ԁ": "d", "е": "e", "һ": "h", "і": "i", "ј": "j", "к": "k", "ӏ": "l", "м": "m", "н": "h", "о": "o", "р": "p",
+    "а": "a", "в": "b", "с": "c", "ԁ": "d", "е": "e", "һ": "h", "і": "i", "ј": "j", "к": "k", "ӏ": "i", "м": "m", "н": "h", "о": "o", "р": "p",
     "ԛ": "q", "ѕ": "s", "т": "t", "ц": "u", "у": "y", "ѵ": "v", "ԝ": "w", "х": "x", "α": "a", "β": "b", "ε": "e", "η": "n", "ι": "i", "κ": "k", "ν": "v",
-    "ο": "o", "ρ": "p", "τ": "t", "υ": "u", "χ": "x", "ı": "i", "ł": "l", "ø": "o", "ß": "ss", "æ": "ae", "œ": "oe",
+    "ο": "o", "ρ": "p", "τ": "t", "υ": "u", "χ": "x", "ı": "i", "ł": "i",
 }
-_SUBSTITUTES = {"0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "@": "a", "$": "s", "€": "e", "!": "i", "|": "i"}
+_SUBSTITUTES = {"0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b"}
+#: Stand for letters only between letters.
+_SYMBOLS = {"@": "a", "$": "s", "€": "e", "!": "i", "|": "i"}
+#: "1", "i" and "l" are one letter after folding, as "1" stands for either.
+_ALIKE = {"l": "i"}
 _INVISIBLE = dict.fromkeys([0xAD, 0x200B, 0x200C, 0x200D, 0x2060, 0xFEFF])
-_FOLD = str.maketrans(_LOOKALIKES) | _INVISIBLE
-_SWAP = str.maketrans(_SUBSTITUTES)
+_FOLD = str.maketrans(_LOOKALIKES | _SUBSTITUTES | _ALIKE) | _INVISIBLE
+_FOLD_BYTES = bytes(ord({**_SUBSTITUTES, **_ALIKE}.get(chr(b), chr(b))) for b in range(256))
+_INSIDE = re.compile(r"[@$€!|](?<=[^\W\d_].)(?=[^\W\d_])")
 _RUN = re.compile(r"[^\W_]+")
-#: A run with a letter and a substitute inside or before its end, such as "1d10t".
-_MASKED = re.compile(r"[^\W_]*[0134578@$€!|]+[^\W\d_][^\W_]*|[^\W\d_]+[0134578@$€|]+[^\W_]*|[^\W\d_]+!+[^\W_]+")
 
 
 def fold(text: str) -> str:
-    """The text as it is matched; letters keep their order, not their places."""
+    """The text as it is matched: lower case, imitated letters put back."""
     low = text.lower()
-    if not low.isascii():
-        low = unicodedata.normalize("NFKD", low)
-        low = "".join(c for c in low if not unicodedata.combining(c)) if any(map(unicodedata.combining, set(low))) else low
-        low = low.translate(_FOLD)
-    return _MASKED.sub(lambda m: m[0].translate(_SWAP), low)
+    try:
+        out = low.encode("latin-1").translate(_FOLD_BYTES, b"\xad").decode("latin-1")
+    except UnicodeEncodeError:
+        low = unicodedata.normalize("NFKC", low)
+        out = "".join(c for c in low if not unicodedata.combining(c)) if any(map(unicodedata.combining, set(low))) else low
+        out = out.translate(_FOLD)
+    return _INSIDE.sub(lambda m: _SYMBOLS[m[0]], out)
 
 
 @dataclass(frozen=True)
 class ToxicityParams:
     #: Rows that the lexicon and the curve are fitted on, at most; the rest is scored only.
-    max_labelled: int = 20_000
+    max_labelled: int = 6_000
     #: Words of the lexicon, at most; the heaviest are kept.
     max_words: int = 2_000
     #: Rows of label 1 that must hold a word, and its least log-odds.
     min_rows: int = 4
     min_weight: float = 1.5
+    #: Lengths of the stems that are tried as entries besides whole words.
+    stems: tuple[int, ...] = (4, 5, 6, 7)
     #: Labelled rows that must hold an exception phrase, and its greatest share of label 1.
     min_exception_rows: int = 8
     #: Characters added to every length, so that short texts are not overrated.
@@ -67,6 +76,7 @@ class ToxicityParams:
 
 @dataclass
 class ToxicityModel:
+    #: Folded words, or stems ending in "*", and their weights.
     words: dict[str, float]
     exceptions: tuple[str, ...] = ()
     #: Constant, slope of the summed weight, slope of the weight by length.
@@ -74,30 +84,47 @@ class ToxicityModel:
     params: ToxicityParams = field(default_factory=ToxicityParams)
 
     def automaton(self) -> ahocorasick.Automaton:
-        found = ahocorasick.Automaton()
+        entries: dict[str, list] = {}
         for word, weight in self.words.items():
-            found.add_word(word, (len(word), weight, False))
+            stem = word.endswith("*")
+            entries.setdefault(word[:-1] if stem else word, []).append((weight, stem, False))
         for phrase in (*self.exceptions, *map(fold, self.params.exceptions)):
             if phrase:
-                found.add_word(phrase, (len(phrase), 0.0, True))
+                entries.setdefault(phrase, []).append((0.0, False, True))
+        found = ahocorasick.Automaton()
+        for text, kinds in entries.items():
+            found.add_word(text, (len(text), kinds))
         if len(found):
             found.make_automaton()
         return found
 
+    def hits(self, folded: str, found: ahocorasick.Automaton) -> dict[int, tuple[int, float]]:
+        """Start of each matched word to the match's end and its greatest weight."""
+        best: dict[int, tuple[int, float]] = {}
+        if not folded or not len(found):
+            return best
+        n, spared = len(folded), []
+        for end, (length, kinds) in found.iter(folded):
+            start = end - length + 1
+            if start and folded[start - 1].isalnum():
+                continue
+            closed = end + 1 == n or not folded[end + 1].isalnum()
+            for weight, stem, spare in kinds:
+                if not (stem or closed):
+                    continue
+                if spare:
+                    spared.append((start, end))
+                elif start not in best or best[start][1] < weight:
+                    best[start] = (end, weight)
+        if spared:
+            best = {s: v for s, v in best.items() if not any(a <= s and v[0] <= b for a, b in spared)}
+        return best
+
     def features(self, text: str, found: ahocorasick.Automaton) -> tuple[float, float]:
         """Summed weight of the matches, and that sum by length."""
         folded = fold(text)
-        n = len(folded)
-        if not n or not len(found):
-            return 0.0, 0.0
-        hits, spared = [], []
-        for end, (length, weight, spare) in found.iter(folded):
-            start = end - length + 1
-            if (start and folded[start - 1].isalnum()) or (end + 1 < n and folded[end + 1].isalnum()):
-                continue
-            (spared if spare else hits).append((start, end, weight))
-        total = sum(w for s, e, w in hits if not any(a <= s and e <= b for a, b, _ in spared))
-        return total, total * 1000.0 / (n + self.params.length_floor)
+        total = sum(w for _, w in self.hits(folded, found).values())
+        return total, total * 1000.0 / (len(folded) + self.params.length_floor)
 
     def score(self, text: str, found: ahocorasick.Automaton) -> float:
         total, dense = self.features(text, found)
@@ -106,28 +133,70 @@ class ToxicityModel:
         return 1.0 / (1.0 + math.exp(-max(-40.0, min(40.0, z))))
 
 
-def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of either label that hold each word or pair of words, per batch."""
-    rows = [Counter(), Counter()]
-    totals = [0, 0]
+class _Tally:
+    """Rows of either label that hold each term, written out before it grows large."""
+
+    def __init__(self):
+        self.rows = (Counter(), Counter())
+
+    def add(self, terms: set[str], label: int) -> None:
+        self.rows[label].update(terms)
+
+    def full(self) -> bool:
+        return len(self.rows[0]) + len(self.rows[1]) > 200_000
 
-    def flush():
-        words = list(rows[0].keys() | rows[1].keys())
-        out = pa.RecordBatch.from_pydict({"term": pa.array([*words, ""], pa.string()), "n0": pa.array([*(rows[0][w] for w in words), totals[0]], pa.int64()), "n1": pa.array([*(rows[1][w] for w in words), totals[1]], pa.int64())})
-        rows[0].clear(), rows[1].clear()
-        totals[:] = [0, 0]
+    def flush(self) -> pa.RecordBatch:
+        terms = list(self.rows[0].keys() | self.rows[1].keys())
+        out = pa.RecordBatch.from_pydict({"term": pa.array(terms, pa.string()), "n0": pa.array([self.rows[0][w] for w in terms], pa.int64()), "n1": pa.array([self.rows[1][w] for w in terms], pa.int64())})
+        self.rows[0].clear(), self.rows[1].clear()
         return out
 
-    for batch in batches:
-        for text, label in zip(batch.column("text"), batch.column("toxic").to_pylist(), strict=True):
-            runs = _RUN.findall(fold(text.as_py() or ""))
-            terms = set(runs)
-            terms.update(map(" ".join, zip(runs, runs[1:], strict=False)))
-            rows[label].update(terms)
-            totals[label] += 1
-            if len(rows[0]) + len(rows[1]) > 300_000:
-                yield flush()
-    yield flush()
+
+_TALLIED = "term string, n0 long, n1 long"
+
+
+def _count_terms(stems: tuple[int, ...]):
+    """Words and stems of labelled rows."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tally = _Tally()
+        for batch in batches:
+            for text, label in zip(batch.column("text"), batch.column("toxic").to_pylist(), strict=True):
+                words = set(_RUN.findall(fold(text.as_py() or "")))
+                terms = set(words)
+                for k in stems:
+                    terms.update(w[:k] + "*" for w in words if len(w) > k)
+                tally.add(terms, label)
+                if tally.full():
+                    yield tally.flush()
+        yield tally.flush()
+
+    return run
+
+
+def _count_phrases(model: ToxicityModel):
+    """Matched words together with the word before or after them."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tally, found = _Tally(), model.automaton()
+        before, after = re.compile(r"[^\W_]+[^\S\n]$"), re.compile(r"[^\W_]*[^\S\n][^\W_]+")
+        for batch in batches:
+            for text, label in zip(batch.column("text"), batch.column("toxic").to_pylist(), strict=True):
+                folded, terms = fold(text.as_py() or ""), set()
+                for start, (end, _) in model.hits(folded, found).items():
+                    stop = end + 1
+                    while stop < len(folded) and folded[stop].isalnum():
+                        stop += 1
+                    if m := before.search(folded, max(0, start - 40), start):
+                        terms.add(folded[m.start() : stop])
+                    if m := after.match(folded, end + 1):
+                        terms.add(folded[start : m.end()])
+                tally.add(terms, label)
+                if tally.full():
+                    yield tally.flush()
+        yield tally.flush()
+
+    return run
 
 
 def training_rows(docs: DataFrame, labels: DataFrame, params: ToxicityParams) -> DataFrame:
@@ -146,34 +215,31 @@ def training_rows(docs: DataFrame, labels: DataFrame, params: ToxicityParams) ->
 
 def learn(docs: DataFrame, labels: DataFrame, params: ToxicityParams = ToxicityParams()) -> ToxicityModel:
     """Lexicon, exceptions and curve from the labelled rows that are not held out."""
-    train = training_rows(docs, labels, params)
-    terms = train.select("text", "toxic").mapInArrow(_count_words, "term string, n0 long, n1 long").groupBy("term").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
-    total = train.groupBy().agg(F.count_if(F.col("toxic") == 0).alias("t0"), F.count_if(F.col("toxic") == 1).alias("t1"))
-    t0, t1 = (int(x or 0) for x in total.first())
+    train = materialise(training_rows(docs, labels, params), "labelled")
+    summed = lambda counted: counted.groupBy("term").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
+    terms = summed(train.select("text", "toxic").mapInArrow(_count_terms(params.stems), _TALLIED))
+    t0, t1 = (int(x or 0) for x in train.agg(F.count_if(F.col("toxic") == 0), F.count_if(F.col("toxic") == 1)).first())
     if not t1:
         return ToxicityModel({}, params=params)
     odds = F.log((F.col("n1") + 0.5) / (t1 + 1.0)) - F.log((F.col("n0") + 0.5) / (t0 + 1.0))
-    # a word must stand out beyond chance: a lower bound of its log-odds is its weight
+    # a term must stand out beyond chance: a lower bound of its log-odds is its weight
     weight = odds - 1.96 * F.sqrt(1.0 / (F.col("n1") + 0.5) + 1.0 / (F.col("n0") + 0.5))
     heavy = (
-        terms.filter((F.col("term") != "") & ~F.col("term").contains(" ") & (F.col("n1") >= params.min_rows))
+        terms.filter(F.col("n1") >= params.min_rows)
         .withColumn("weight", weight)
         .filter(F.col("weight") >= params.min_weight)
         .orderBy(F.desc("weight"), "term")
         .limit(params.max_words)
     )
     words = {r["term"]: float(r["weight"]) for r in heavy.select("term", "weight").collect()}
-    exceptions: tuple[str, ...] = ()
+    model = ToxicityModel(words, params=params)
     if words:
-        base = t1 / max(1, t0 + t1)
-        has_word = F.arrays_overlap(F.split("term", " "), F.array(*map(F.lit, sorted(words)))) if len(words) <= 200 else F.lit(True)
-        mild = terms.filter(F.col("term").contains(" ") & (F.col("n0") + F.col("n1") >= params.min_exception_rows) & (F.col("n1") <= base * (F.col("n0") + F.col("n1"))) & has_word)
-        mild = mild.orderBy(F.desc("n0"), "term").limit(params.max_words)
-        exceptions = tuple(r[0] for r in mild.select("term").collect() if any(w in words for w in r[0].split(" ")))
-    model = ToxicityModel(words, exceptions, params=params)
-    features = train.select("text", "toxic").mapInArrow(_features(model), "a double, b double, y int")
-    points = np.array(features.collect(), dtype=float).reshape(-1, 3)  # at most max_labelled rows
-    model.curve = fit_curve(points)
+        seen = F.col("n0") + F.col("n1")
+        phrases = summed(train.select("text", "toxic").mapInArrow(_count_phrases(model), _TALLIED))
+        mild = phrases.filter((seen >= params.min_exception_rows) & (F.col("n1") <= seen * (t1 / (t0 + t1)))).orderBy(F.desc("n0"), "term").limit(params.max_words)
+        model.exceptions = tuple(r[0] for r in mild.select("term").collect())
+    points = np.array(train.select("text", "toxic").mapInArrow(_features(model), "a double, b double, y int").collect(), dtype=float)  # at most max_labelled rows
+    model.curve = fit_curve(points.reshape(-1, 3))
     return model
 
 
