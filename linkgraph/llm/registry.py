@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-from linkgraph.llm import bpe, near_dup, pii, toxicity
+from linkgraph.llm import bpe, decontaminate, near_dup, pii, toxicity
 
 
 def queries() -> dict:
-    return {"op2_toxicity": toxicity.op2_toxicity, "op5_pii": pii.op5_pii, "op3_bpe": bpe.op3_bpe, "op9_near_dup": near_dup.op9_near_dup}
+    return {"op10_decontaminate": decontaminate.op10_decontaminate, "op2_toxicity": toxicity.op2_toxicity, "op5_pii": pii.op5_pii, "op3_bpe": bpe.op3_bpe, "op9_near_dup": near_dup.op9_near_dup}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op10_decontaminate": decontaminate.op10_decontaminate, }
