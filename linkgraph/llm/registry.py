@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-from linkgraph.llm import bpe, decontaminate, near_dup, pii, suffix_dedup, toxicity
+from linkgraph.llm import ann, bpe, decontaminate, near_dup, pii, suffix_dedup, toxicity, warc
 
 
 def queries() -> dict:
-    return {"op1_suffix_dedup": suffix_dedup.op1_suffix_dedup, "op10_decontaminate": decontaminate.op10_decontaminate, "op2_toxicity": toxicity.op2_toxicity, "op5_pii": pii.op5_pii, "op3_bpe": bpe.op3_bpe, "op9_near_dup": near_dup.op9_near_dup}
+    return {"op4_ann": ann.op4_ann, "op6_warc": warc.op6_warc, "op1_suffix_dedup": suffix_dedup.op1_suffix_dedup, "op10_decontaminate": decontaminate.op10_decontaminate, "op2_toxicity": toxicity.op2_toxicity, "op5_pii": pii.op5_pii, "op3_bpe": bpe.op3_bpe, "op9_near_dup": near_dup.op9_near_dup}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_suffix_dedup": suffix_dedup.op1_suffix_dedup, "op10_decontaminate": decontaminate.op10_decontaminate, }
+    return {"op4_ann": ann.op4_ann, "op6_warc": warc.op6_warc, "op1_suffix_dedup": suffix_dedup.op1_suffix_dedup, "op10_decontaminate": decontaminate.op10_decontaminate, }
