@@ -44,9 +44,9 @@ class NearDupParams:
     quick_rounds: int = 3
     #: Smallest hashes kept of each set, and how many of the union's smallest two
     #: sets must share to be compared in full: a pair at the threshold shares
-    #: 48 of 64 on average and fewer than 32 with probability below 2e-5.
-    sketch: int = 64
-    sketch_least: int = 32
+    #: 96 of 128 on average and fewer than 76 with probability below 5e-5.
+    sketch: int = 128
+    sketch_least: int = 76
     seed: int = 20240501
 
 
@@ -256,7 +256,8 @@ def near_duplicates(docs: DataFrame, params: NearDupParams = NearDupParams()) ->
         sketches = sig.select(F.col("doc_id").alias("doc"), "low")
         pairs = _all_across(open_rows, params).join(tested.distinct(), ["x", "y"], "left_anti")
         pairs = materialise(_sketched(pairs, sketches, params), "pairs")
-        label = _merged(label, confirm(pairs, base, params).filter("linked").select("x", "y"))
+        checked = materialise(confirm(pairs, base, params), "checked")
+        label = _merged(label, checked.filter("linked").select("x", "y"))
     out = members.join(label, F.col("rep") == F.col("node"), "left")
     component = F.coalesce("component", "rep")
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(False)).alias("kept"))
