@@ -23,7 +23,11 @@ def hashed_encode(texts: DataFrame, key: str, text: str, dim: int = 64, nmin: in
     """
     padded = F.concat(F.lit("<"), F.col("w"), F.lit(">"))
     words = texts.select(key, F.explode(F.filter(F.split(F.lower(F.col(text)), r"[^\p{L}0-9]+"), lambda w: w != "")).alias("w"))
-    grams = [F.transform(F.sequence(F.lit(1), F.greatest(F.length(padded) - n + 1, F.lit(1))), lambda i, n=n: F.substring(padded, i, n)) for n in range(nmin, nmax + 1)]
+
+    def of_length(n: int) -> Column:
+        return F.transform(F.sequence(F.lit(1), F.greatest(F.length(padded) - n + 1, F.lit(1))), lambda i: F.substring(padded, i, n))
+
+    grams = [of_length(n) for n in range(nmin, nmax + 1)]
     feats = words.select(key, F.explode(F.concat(F.array(F.concat(F.lit("="), "w")), *grams)).alias("f"))
     digest = F.md5("f")
     bucket = F.conv(F.substring(digest, 1, 8), 16, 10).cast("long") % dim

@@ -14,7 +14,7 @@ def _t(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def projection(spark, d):
-    return _t(spark, d, "lineitem").select("l_orderkey", F.col("l_quantity").cast("int").alias("units"), F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 2).cast("decimal(18,2)").alias("net"))
+    return _t(spark, d, "lineitem").select("l_orderkey", F.col("l_quantity").cast("int").alias("units"), (F.col("l_extendedprice").cast("decimal(18,2)") * (1 - F.col("l_discount").cast("decimal(4,2)"))).cast("decimal(18,4)").alias("net"))
 
 
 def predicates(spark, d):
@@ -145,7 +145,7 @@ def tumbling(spark, d):
 _DAY = "CAST(floor(epoch({c}) / 86400) AS BIGINT)"
 
 QUERIES: dict = {
-    "rel_projection": (projection, "SELECT l_orderkey, CAST(l_quantity AS INT) AS units, CAST(round(l_extendedprice * (1 - l_discount), 2) AS DECIMAL(18,2)) AS net FROM lineitem"),
+    "rel_projection": (projection, "SELECT l_orderkey, CAST(l_quantity AS INT) AS units, CAST(CAST(l_extendedprice AS DECIMAL(18,2)) * (1 - CAST(l_discount AS DECIMAL(4,2))) AS DECIMAL(18,4)) AS net FROM lineitem"),
     "rel_predicates": (predicates, "SELECT o_orderstatus, count(*) AS n FROM orders WHERE o_orderdate >= TIMESTAMP '1995-01-01' AND o_orderstatus IN ('O', 'F') AND regexp_matches(o_orderpriority, '^[12]-') GROUP BY 1"),
     "rel_broadcast_join": (broadcast_join, "SELECT n_name, count(*) AS n_customers FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY 1"),
     "rel_merge_join": (merge_join, "SELECT o_orderstatus, sum(CAST(l_quantity AS DECIMAL(18,2))) AS units FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY 1"),
