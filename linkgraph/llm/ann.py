@@ -127,7 +127,7 @@ def _hashed(params: AnnParams, n_hash: int):
 
 def _best_of_blocks(params: AnnParams):
     """Best entries of each query in each block, from rows ordered by (key, salt, side)."""
-    names = ["query", "entry", "score"]
+    names = ["query", "hits"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at = None
@@ -161,16 +161,16 @@ def _best_of_blocks(params: AnnParams):
                     score = (asked @ matrix.T) / (np.sqrt((asked * asked).sum(axis=1))[:, None] * norms[None])
                     score[who[:, None] == ids_all[None]] = -np.inf  # an entry itself is added later
                     keep = min(params.k, score.shape[1])
-                    top = np.argsort(-score, axis=1, kind="stable")
-                    kth = np.take_along_axis(score, top[:, keep - 1 : keep], 1)
+                    kth = -np.partition(-score, keep - 1, axis=1)[:, keep - 1 : keep]
                     row, col = np.nonzero((score >= kth) & np.isfinite(score))
-                    if len(row) > 4 * keep * len(asked):  # many ties: the smallest ids suffice
-                        order = np.lexsort((ids_all[col], -score[row, col], row))
-                        row, col = row[order], col[order]
-                        first = np.searchsorted(row, np.arange(len(asked)))
-                        near = np.arange(len(row)) - first[row] < keep
-                        row, col = row[near], col[near]
-                    yield pa.RecordBatch.from_arrays([pa.array(who[row]), pa.array(ids_all[col]), pa.array(score[row, col])], names=names)
+                    order = np.lexsort((ids_all[col], -score[row, col], row))
+                    row, col = row[order], col[order]
+                    first = np.searchsorted(row, np.arange(len(asked) + 1))
+                    near = np.arange(len(row)) - first[row] < keep  # among ties the smallest ids suffice
+                    row, col = row[near], col[near]
+                    ends = pa.array(np.searchsorted(row, np.arange(len(asked) + 1)).astype(np.int32))
+                    hits = pa.StructArray.from_arrays([pa.array(ids_all[col]), pa.array(score[row, col])], names=["id", "score"])
+                    yield pa.RecordBatch.from_arrays([pa.array(who), pa.ListArray.from_arrays(ends, hits)], names=names)
 
     return run
 
@@ -198,8 +198,12 @@ def nearest(vectors: DataFrame, is_query, params: AnnParams = AnnParams()) -> Da
     own = F.pmod(F.xxhash64("entry"), F.col("parts")).cast("int")
     salted = rows.withColumn("salt", F.explode(F.when(F.col("side") == 0, F.array(own)).otherwise(F.sequence(F.lit(0), F.col("parts") - 1))))
     blocks = salted.select("key", "salt", "side", "entry", "v").repartition("key", "salt").sortWithinPartitions("key", "salt", "side")
-    found = blocks.mapInArrow(_best_of_blocks(params), "query long, entry long, score double").groupBy("query", "entry").agg(F.max("score").alias("score"))
-    near = found.withColumn("r", F.row_number().over(Window.partitionBy("query").orderBy(F.desc("score"), "entry"))).filter(F.col("r") <= params.k).select("query", "entry", "score")
+    # a query meets at most tables * probes blocks, each of which names k entries
+    met = blocks.mapInArrow(_best_of_blocks(params), "query long, hits array<struct<id:long,score:double>>").groupBy("query").agg(F.flatten(F.collect_list("hits")).alias("hits"))
+    by_entry = met.withColumn("hits", F.array_sort("hits"))
+    once = F.expr("filter(hits, (x, i) -> i = 0 or hits[i - 1].id <> x.id)")
+    best = F.expr(f"slice(array_sort(transform(hits, x -> named_struct('d', -x.score, 'id', x.id))), 1, {params.k})")
+    near = by_entry.withColumn("hits", once).select("query", F.explode(best).alias("x")).select("query", F.col("x.id").alias("entry"), (-F.col("x.d")).alias("score"))
     # a query's own vector, for its copies: its cosine in the same arithmetic
     unit = F.expr("aggregate(v, double(0), (a, x) -> a + x * x)")
     itself = entries.filter("asks").select(F.col("entry").alias("query"), "entry", (unit / (F.sqrt(unit) * F.sqrt(unit))).alias("score"))
