@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from linkgraph.functions.similarity import gap, name_similarity, unit_cosine
-from linkgraph.operators.prepare import PLACEHOLDERS, canonical, klass_of, sentence
+from linkgraph.operators.prepare import PLACEHOLDERS, canonical, cells, klass_of, sentence
 from linkgraph.params import Params
 from linkgraph.sources.pairs import TablePair
 
@@ -52,7 +52,7 @@ def metadata(spark: SparkSession, pair: TablePair) -> DataFrame:
 
 
 def profile(pair: TablePair) -> DataFrame:
-    """Statistics of every column, one pass over each table.
+    """Statistics of every column, one pass over each table and one over its cells.
 
     (cid, klass, n_rows, n_valid, n_distinct, numeric and character features,
     s_ling); features of the other class are null.
@@ -67,10 +67,10 @@ def profile(pair: TablePair) -> DataFrame:
             text = F.when(~text.isin(*PLACEHOLDERS), text)
             number = F.when(text.isNotNull(), F.col(f"`{c}`").cast("double")) if klass_of(fields[c]) == "numeric" else F.lit(None).cast("double")
             share = lambda pattern, text=text: F.avg((F.length(text) - F.length(F.regexp_replace(text, pattern, ""))) / F.length(text))
-            aggs += [F.count(text).alias(f"v{k}"), F.count_distinct(text).alias(f"d{k}")]
+            aggs.append(F.count(text).alias(f"v{k}"))
             aggs += [f(number).alias(f"{slot}{k}") for slot, f in zip(NUMERIC_SLOTS, (F.avg, F.min, F.max, F.var_pop, F.stddev_pop), strict=True)]
             aggs += [share(p).alias(f"{slot}{k}") for slot, p in zip(CHAR_SLOTS, (r"\s", r"[!-/:-@\[-`{-~]", r"[^\p{L}0-9\s!-/:-@\[-`{-~]", "[0-9]"), strict=True)]
-            aggs.append(F.avg((text.rlike(r"\p{L}") & F.expr("1 = 1")).cast("double")).alias(f"ling{k}"))
+            aggs.append(F.avg(text.rlike(r"\p{L}").cast("double")).alias(f"ling{k}"))
         row = table.agg(*aggs)
         structs = []
         for k, c in enumerate(columns):
@@ -78,14 +78,17 @@ def profile(pair: TablePair) -> DataFrame:
             use = lambda slot, want, k=k, klass=klass: (F.col(f"{slot}{k}") if klass == want else F.lit(None).cast("double")).alias(slot)
             structs.append(
                 F.struct(
-                    F.lit(f"{side}:{c}").alias("cid"), F.lit(side).alias("side"), F.lit(c).alias("name"), F.lit(klass).alias("klass"), F.col("n").alias("n_rows"), F.col(f"v{k}").alias("n_valid"), F.col(f"d{k}").alias("n_distinct"),
+                    F.lit(f"{side}:{c}").alias("cid"), F.lit(side).alias("side"), F.lit(c).alias("name"), F.lit(klass).alias("klass"), F.col("n").alias("n_rows"), F.col(f"v{k}").alias("n_valid"),
                     *[use(s, "numeric") for s in NUMERIC_SLOTS], *[use(s, "character") for s in CHAR_SLOTS],
                     F.coalesce(F.col(f"ling{k}"), F.lit(0.0)).alias("s_ling"),
                 )
             )
         part = row.select(F.inline(F.array(*structs)))
         out = part if out is None else out.union(part)
-    return out
+    # distinct values from the long form: one shuffle of values combined map-side,
+    # where several distinct counts in one aggregate would copy every row per column
+    distinct = cells(pair).filter("not is_missing").groupBy("cid").agg(F.count_distinct("val").alias("n_distinct"))
+    return out.join(F.broadcast(distinct), "cid", "left").withColumn("n_distinct", F.coalesce("n_distinct", F.lit(0)))
 
 
 def instance_vector(prof: DataFrame, scale: str = "raw") -> DataFrame:
