@@ -38,7 +38,7 @@ _ALIKE = {"l": "i"}
 _INVISIBLE = dict.fromkeys([0xAD, 0x200B, 0x200C, 0x200D, 0x2060, 0xFEFF])
 _FOLD = str.maketrans(_LOOKALIKES | _SUBSTITUTES | _ALIKE) | _INVISIBLE
 _FOLD_BYTES = bytes(ord({**_SUBSTITUTES, **_ALIKE}.get(chr(b), chr(b))) for b in range(256))
-_INSIDE = re.compile(r"[@$€!|](?<=[^\W\d_].)(?=[^\W\d_])")
+_INSIDE = re.compile(r"[@$€!|]+(?=[^\W\d_])")
 _RUN = re.compile(r"[^\W_]+")
 
 
@@ -51,7 +51,13 @@ def fold(text: str) -> str:
         low = unicodedata.normalize("NFKC", low)
         out = "".join(c for c in low if not unicodedata.combining(c)) if any(map(unicodedata.combining, set(low))) else low
         out = out.translate(_FOLD)
-    return _INSIDE.sub(lambda m: _SYMBOLS[m[0]], out)
+    return _INSIDE.sub(_as_letters, out)
+
+
+def _as_letters(m: re.Match) -> str:
+    """Symbols after a letter as the letters they stand for."""
+    at = m.start()
+    return "".join(map(_SYMBOLS.__getitem__, m[0])) if at and m.string[at - 1].isalpha() else m[0]
 
 
 @dataclass(frozen=True)
