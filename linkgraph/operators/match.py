@@ -73,7 +73,7 @@ def select_matches(scored: DataFrame, rule: str = "mutual_best", tau: float = 0.
         out, rest = None, settle(good)
         by = lambda key: F.row_number().over(Window.partitionBy(key).orderBy(F.desc("score"), "left_key", "right_key"))
         while True:
-            found = settle(rest.withColumns({"r": by("left_key"), "q": by("right_key")}).filter("r = 1 and q = 1").drop("r", "q"))
+            found = settle(rest.withColumns({"r": by("left_key"), "q": by("right_key")}).filter("r = 1 and q = 1").select("left_key", "right_key", "score"))
             if found.isEmpty():
                 return out if out is not None else found
             out = found if out is None else out.union(found)
