@@ -9,10 +9,11 @@ no table key at all.
 Inside a table the members are not paired with each other.  In a few quick
 rounds every document is confirmed against one leader only, the one it shares
 most tables with.  Tables whose members all are in one component are then done.
-In the others, members outside the table's main component are compared with all
-members of other components, after a bottom-k sketch has ruled out pairs that
-are far below the threshold.  Pairs are confirmed on their full shingle sets,
-which are recomputed from the texts.
+Documents of the others meet in blocks, where each pair of different components
+that collides in some table is compared once, and only pairs that reach the
+threshold leave the block.  The block compares whole sets, or bottom-k sketches
+of sets that are longer.  Every link is confirmed on full shingle sets
+recomputed from the texts.
 """
 
 from __future__ import annotations
@@ -42,11 +43,13 @@ class NearDupParams:
     per_subkey: int = 2
     #: Rounds against one leader each, before the exhaustive one.
     quick_rounds: int = 3
-    #: Smallest hashes kept of each set, and how many of the union's smallest two
-    #: sets must share to be compared in full: a pair at the threshold shares
-    #: 96 of 128 on average and fewer than 76 with probability below 5e-5.
-    sketch: int = 128
-    sketch_least: int = 76
+    #: Smallest hashes of a set that a block compares (short sets are whole), and
+    #: how many of them longer sets must share to be compared in full: a pair at
+    #: the threshold shares 384 of 512 on average, under 343 with probability 2e-5.
+    sketch: int = 512
+    sketch_least: int = 343
+    #: Members of a bucket that one block compares with as many others.
+    block: int = 1024
     seed: int = 20240501
 
 
@@ -55,7 +58,7 @@ def _signatures(params: NearDupParams):
     n_hash = 2 * params.subkeys * params.per_subkey
     seeds = mix(np.arange(params.seed, params.seed + n_hash, dtype=np.uint64)) | np.uint64(1)
     adds = mix(seeds)
-    schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("fp_a", pa.int64()), ("fp_b", pa.int64()), ("keys", pa.list_(pa.int64())), ("low", pa.list_(pa.int32()))])
+    schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("fp_a", pa.int64()), ("fp_b", pa.int64()), ("keys", pa.list_(pa.int64()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -77,10 +80,6 @@ def _signatures(params: NearDupParams):
                         low = np.minimum.reduceat(h, at)
                         slot = k // params.per_subkey
                         keys[some, slot] = mix(keys[some, slot] * np.uint64(31) + low + np.uint64(slot + 1))
-                take = np.minimum(counts, params.sketch)
-                ends = np.cumsum(take)
-                from_row = np.repeat(np.cumsum(counts) - counts - (ends - take), take) + np.arange(int(take.sum()))
-                low = pa.ListArray.from_arrays(pa.array(np.append(0, ends).astype(np.int32)), pa.array((values[from_row] >> np.uint64(33)).astype(np.int32)))
                 yield pa.RecordBatch.from_arrays(
                     [
                         ids.slice(lo, n).cast(pa.int64()),
@@ -88,7 +87,6 @@ def _signatures(params: NearDupParams):
                         pa.array(as_long(fp_a)),
                         pa.array(as_long(fp_b)),
                         pa.FixedSizeListArray.from_arrays(pa.array(as_long(keys.reshape(-1))), 2 * params.subkeys).cast(pa.list_(pa.int64())),
-                        low,
                     ],
                     schema=schema,
                 )
@@ -97,7 +95,7 @@ def _signatures(params: NearDupParams):
 
 
 def signatures(docs: DataFrame, params: NearDupParams = NearDupParams()) -> DataFrame:
-    return docs.select("doc_id", "text").mapInArrow(_signatures(params), "doc_id long, n_shingles long, fp_a long, fp_b long, keys array<long>, low array<int>")
+    return docs.select("doc_id", "text").mapInArrow(_signatures(params), "doc_id long, n_shingles long, fp_a long, fp_b long, keys array<long>")
 
 
 def _confirmed(params: NearDupParams):
@@ -167,40 +165,159 @@ def _one_leader_each(rows: DataFrame, turn: int) -> DataFrame:
     return best.select(F.least("doc", "p").alias("x"), F.greatest("doc", "p").alias("y")).distinct()
 
 
-def _all_across(rows: DataFrame, params: NearDupParams) -> DataFrame:
-    """Pairs in different components of a table, one of them outside the main one."""
-    main = rows.groupBy("tkey", "lab").agg(F.count(F.lit(1)).alias("c")).groupBy("tkey").agg(F.max_by("lab", F.struct("c", "lab")).alias("main"))
-    rows = rows.join(main, "tkey")
-    out = rows.filter("lab <> main").select("tkey", F.col("doc").alias("p"), F.col("n").alias("pn"), F.col("lab").alias("pl"))
-    near = (F.least("n", "pn") * params.den >= F.greatest("n", "pn") * params.num) & (F.col("lab") != F.col("pl")) & ((F.col("lab") == F.col("main")) | (F.col("p") < F.col("doc")))
-    return rows.join(out, "tkey").filter(near).select(F.least("p", "doc").alias("x"), F.greatest("p", "doc").alias("y")).distinct()
+def _sketches(params: NearDupParams):
+    """Arrow batches of (doc_id, text) to the smallest shingle hashes of each text, in order."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            data, offsets = text_bytes(batch.column("text"))
+            for lo, hi in row_slices(offsets):
+                values, counts = shingle_sets(data, offsets[lo : hi + 1], params.width)
+                take = np.minimum(counts, params.sketch)
+                ends = np.cumsum(take)
+                at = np.repeat(np.cumsum(counts) - counts - (ends - take), take) + np.arange(int(take.sum()))
+                low = pa.ListArray.from_arrays(pa.array(np.append(0, ends).astype(np.int32)), pa.array((values[at] >> np.uint64(33)).astype(np.int32)))
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(lo, hi - lo).cast(pa.int64()), low], names=["doc", "low"])
+
+    return run
 
 
-def _sketched(pairs: DataFrame, sketches: DataFrame, params: NearDupParams) -> DataFrame:
-    """Pairs whose bottom-k sketches do not rule out the threshold."""
-    k = params.sketch
+def _colliding(rows: pa.Table, params: NearDupParams) -> tuple[np.ndarray, np.ndarray]:
+    """Places of pairs of a block that collide in a table, in its first common bucket.
 
-    def padded(column: pa.Array) -> np.ndarray:
-        out = np.full((len(column), k), np.iinfo(np.int32).max, np.int32)
-        counts = np.diff(np.asarray(column.offsets))
-        out[np.arange(k) < counts[:, None]] = column.flatten().to_numpy(zero_copy_only=False)
-        return out
+    Both sides must differ in component and agree in some sub-key of either
+    collection; the size ratio must allow the threshold.
+    """
+    slot, a, b = (rows.column(c)[0].as_py() for c in ("slot", "a", "b"))
+    lab, n, part = (rows.column(c).to_numpy() for c in ("lab", "n", "part"))
+    keys = rows.column("keys").combine_chunks().flatten().to_numpy().reshape(len(n), -1)
+    whole = np.arange(len(n))
+    left, right = (whole, whole) if a == b else (whole[part == a], whole[part == b])
+    found = [(whole[:0], whole[:0])]
+    for at in range(0, len(left), 256):
+        i = left[at : at + 256]
+        ok = lab[i][:, None] != lab[right]
+        ok &= np.minimum(n[i][:, None], n[right]) * params.den >= np.maximum(n[i][:, None], n[right]) * params.num
+        if a == b:
+            ok &= i[:, None] < right
+        if not ok.any():
+            continue
+        for t in range(slot):
+            ok &= keys[i, t][:, None] != keys[right, t]
+        second = np.zeros_like(ok)
+        for t in range(params.subkeys, 2 * params.subkeys):
+            second |= keys[i, t][:, None] == keys[right, t]
+        r, c = np.nonzero(ok & second)
+        found.append((i[r], right[c]))
+    return np.concatenate([x for x, _ in found]), np.concatenate([y for _, y in found])
+
+
+def _common(p: np.ndarray, q: np.ndarray, starts: np.ndarray, values: np.ndarray) -> np.ndarray:
+    """How many values the lists of each pair share."""
+    if len(p) <= 32:
+        return np.array([len(np.intersect1d(values[starts[i] : starts[i + 1]], values[starts[j] : starts[j + 1]])) for i, j in zip(p, q, strict=True)], np.int64)
+    _, code, times = np.unique(values, return_inverse=True, return_counts=True)
+    owner = np.repeat(np.arange(len(starts) - 1), np.diff(starts))
+    # values of one list only are in no intersection
+    rank = np.cumsum(times > 1) - 1
+    more = times[code] > 1
+    code, owner = rank[code[more]], owner[more]
+    order = np.argsort(code, kind="stable")
+    code, owner = code[order], owner[order]
+    rows, p_at = np.unique(p, return_inverse=True)
+    cols, q_at = np.unique(q, return_inverse=True)
+    place = np.full((2, len(starts) - 1), -1)
+    place[0, rows], place[1, cols] = np.arange(len(rows)), np.arange(len(cols))
+    total = np.zeros((len(rows), len(cols)), np.float32)
+    width = 4096
+    for lo in range(0, int(code[-1]) + 1 if len(code) else 0, width):
+        some = slice(*np.searchsorted(code, [lo, lo + width]))
+        sides = []
+        for side, size in ((0, len(rows)), (1, len(cols))):
+            where = place[side, owner[some]]
+            grid = np.zeros((size, width), np.float32)
+            grid[where[where >= 0], code[some][where >= 0] - lo] = 1
+            sides.append(grid)
+        total += sides[0] @ sides[1].T
+    return total[p_at, q_at].astype(np.int64)
+
+
+def _near_in_block(rows: pa.Table, params: NearDupParams) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs of a block that may reach the threshold: certain for whole sets."""
+    doc, n = rows.column("doc").to_numpy(), rows.column("n").to_numpy()
+    p, q = _colliding(rows, params)
+    if not len(p):
+        return p, q
+    low = rows.column("low").combine_chunks()
+    starts, values = np.asarray(low.offsets).astype(np.int64), low.flatten().to_numpy()
+    starts = starts - starts[0]
+    both = _common(p, q, starts, values)
+    # of a cut list only hashes up to its last one can be judged
+    last = np.where(n > params.sketch, values[starts[1:] - 1], np.iinfo(np.int32).max)
+    sizes = np.empty((2, len(p)), np.int64)
+    for k, (mine, other) in enumerate(((p, q), (q, p))):
+        sizes[k] = n[mine]
+        cut = np.flatnonzero((n[mine] > params.sketch) | (n[other] > params.sketch))
+        for i in np.unique(mine[cut]):
+            at = cut[mine[cut] == i]
+            sizes[k, at] = np.searchsorted(values[starts[i] : starts[i + 1]], last[other[at]], side="right")
+    union = sizes[0] + sizes[1] - both
+    cut = (n[p] > params.sketch) | (n[q] > params.sketch)
+    # one hash more or less, as short hashes may be equal by chance
+    good = np.where(cut, (both + 1) * params.sketch >= params.sketch_least * (union - 1), (both + 1) * params.den >= params.num * (union - 1))
+    return doc[p[good]], doc[q[good]]
+
+
+def _blocks(params: NearDupParams):
+    """Rows ordered by (slot, skey, a, b) to the near pairs of each block."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        at = None
+
+        def done() -> Iterator[pa.RecordBatch]:
+            x, y = _near_in_block(pa.Table.from_batches(held), params)
+            if len(x):
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y))], names=["x", "y"])
+
         for batch in batches:
             if not batch.num_rows:
                 continue
-            both = np.sort(np.hstack([padded(batch.column("x_low")), padded(batch.column("y_low"))]), axis=1)
-            same = np.zeros(both.shape, bool)
-            same[:, 1:] = (both[:, 1:] == both[:, :-1]) & (both[:, 1:] != np.iinfo(np.int32).max)
-            among = np.cumsum(~same, axis=1) <= k
-            share = (same & among).sum(axis=1)
-            whole = np.minimum((~same & (both != np.iinfo(np.int32).max)).sum(axis=1), k)
-            good = pa.array(share * k >= params.sketch_least * whole)
-            yield pa.RecordBatch.from_arrays([batch.column("x").filter(good), batch.column("y").filter(good)], names=["x", "y"])
+            block = np.stack([batch.column(c).to_numpy() for c in ("slot", "skey", "a", "b")])
+            cuts = np.flatnonzero((block[:, 1:] != block[:, :-1]).any(axis=0)) + 1
+            for lo, hi in zip([0, *cuts], [*cuts, batch.num_rows], strict=True):
+                if held and at != tuple(block[:, lo]):
+                    yield from done()
+                    held = []
+                at = tuple(block[:, lo])
+                held.append(batch.slice(lo, hi - lo))
+        if held:
+            yield from done()
 
-    low = lambda side: sketches.select(F.col("doc").alias(side), F.col("low").alias(f"{side}_low"))
-    return pairs.join(low("x"), "x").join(low("y"), "y").select("x", "y", "x_low", "y_low").mapInArrow(run, "x long, y long")
+    return run
+
+
+def _all_across(open_rows: DataFrame, reps: DataFrame, base: DataFrame, params: NearDupParams) -> DataFrame:
+    """Pairs in different components that share a table and may reach the threshold.
+
+    Two documents share a table exactly if they share a sub-key of the first
+    collection and one of the second.  So they meet by sub-keys of the first,
+    in at most ``subkeys`` rows a document.  Large buckets are cut into parts,
+    and each two parts are a block of their own.
+    """
+    docs = open_rows.groupBy("doc").agg(F.min("lab").alias("lab"))
+    low = base.join(docs.select(F.col("doc").alias("doc_id")), "doc_id", "left_semi")
+    low = low.select("doc_id", "text").mapInArrow(_sketches(params), "doc long, low array<int>").filter("size(low) > 0").dropDuplicates(["doc"])
+    full = materialise(reps.join(docs, "doc").join(low, "doc"), "sketches")
+    sub = full.select("doc", "lab", F.posexplode(F.slice("keys", 1, params.subkeys)).alias("slot", "skey"))
+    split = sub.groupBy("slot", "skey").agg(F.count(F.lit(1)).alias("c"), F.min("lab").alias("lo"), F.max("lab").alias("hi")).filter("lo <> hi")
+    parts = split.select("slot", "skey", F.ceil(F.col("c") / params.block).cast("int").alias("parts"))
+    met = sub.select("doc", "slot", "skey").join(parts, ["slot", "skey"]).withColumn("part", F.pmod(F.xxhash64("doc"), F.col("parts")).cast("int"))
+    met = met.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    met = met.select("doc", "slot", "skey", "part", F.least("part", "with").alias("a"), F.greatest("part", "with").alias("b"))
+    rows = met.join(full, "doc").select("slot", "skey", "a", "b", "part", "doc", "lab", "n", "keys", "low")
+    block = ["slot", "skey", "a", "b"]
+    return rows.repartition(*block).sortWithinPartitions(*block).mapInArrow(_blocks(params), "x long, y long").distinct()
 
 
 def _merged(label: DataFrame, links: DataFrame) -> DataFrame:
@@ -253,9 +370,7 @@ def near_duplicates(docs: DataFrame, params: NearDupParams = NearDupParams()) ->
         label = _merged(label, checked.filter("linked").select("x", "y"))
     open_rows = _still_open(open_rows, label)
     if not open_rows.isEmpty():
-        sketches = sig.select(F.col("doc_id").alias("doc"), "low")
-        pairs = _all_across(open_rows, params).join(tested.distinct(), ["x", "y"], "left_anti")
-        pairs = materialise(_sketched(pairs, sketches, params), "pairs")
+        pairs = materialise(_all_across(open_rows, reps, base, params).join(tested.distinct(), ["x", "y"], "left_anti"), "pairs")
         checked = materialise(confirm(pairs, base, params), "checked")
         label = _merged(label, checked.filter("linked").select("x", "y"))
     out = members.join(label, F.col("rep") == F.col("node"), "left")

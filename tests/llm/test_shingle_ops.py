@@ -5,7 +5,7 @@ import re
 
 from linkgraph.llm.common import text_bytes
 from linkgraph.llm.components import connected_components
-from linkgraph.llm.near_dup import keep_first, near_duplicates
+from linkgraph.llm.near_dup import NearDupParams, keep_first, near_duplicates
 from linkgraph.llm.shingles import shingle_sets
 
 import pyarrow as pa
@@ -70,3 +70,28 @@ def test_components(spark):
     edges = spark.createDataFrame([(1, 2), (2, 3), (9, 8), (7, 9), (5, 5), (3, 1), (20, 21), (21, 22), (22, 23), (23, 24)], "a long, b long")
     got = {r["node"]: r["component"] for r in connected_components(edges).collect()}
     assert got == {1: 1, 2: 1, 3: 1, 7: 7, 8: 7, 9: 7, 20: 20, 21: 20, 22: 20, 23: 20, 24: 20}
+
+
+def test_blocks_find_every_link_of_a_group_near_the_threshold(docs_of):
+    """Many copies just above or below the threshold; blocks of 8, whole sets and cut ones."""
+    rng = random.Random(11)
+    words = [f"w{i}" for i in range(500)]
+    base = rng.choices(words, k=300)
+    texts = []
+    for _ in range(60):
+        copy = list(base)
+        for _ in range(rng.randint(3, 8)):
+            copy[rng.randrange(len(copy))] = rng.choice(words)
+        texts.append(" ".join(copy))
+    sets = [plain_set(t) for t in texts]
+    label = list(range(len(texts)))
+    for x in range(len(texts)):
+        for y in range(x):
+            if 100 * len(sets[x] & sets[y]) >= 75 * len(sets[x] | sets[y]) and label[x] != label[y]:
+                lo, hi = sorted((label[x], label[y]))
+                label = [lo if v == hi else v for v in label]
+    assert 5 < len(set(label)) < 60
+    docs = docs_of(list(enumerate(texts)))
+    for params in (NearDupParams(quick_rounds=1, block=8), NearDupParams(quick_rounds=1, block=8, sketch=256, sketch_least=160)):
+        got = {r.doc_id: r.component_id for r in near_duplicates(docs, params).collect()}
+        assert [got[i] for i in range(len(texts))] == label
