@@ -61,6 +61,10 @@ BLOCKS = {"F": "specificity", "G": "specificity", "H": "specificity", "I": "size
 #: Walk settings of the experiments, fixed on a pair outside of them; the same for both methods.
 RUN = Params(walks_per_node=4, walk_length=12, dim=128)
 
+#: Missing rates of either side in the sweep; where gaps lie, at two of the rates.
+RATES = (0.0, 0.05, 0.1, 0.2, 0.3, 0.4, 0.5)
+PATTERNS = ("unimportant", "important", "scattered", "row_clusters")
+
 
 def scaled(cut: Cut, scale: float) -> Cut:
     return replace(cut, rows=max(40, int(cut.rows * scale)), shared_rows=max(10, int(cut.shared_rows * scale)))
@@ -82,13 +86,13 @@ def run(spark: SparkSession, sf_dir: str, letter: str, p: Params = RUN, scale: f
     return plans.experiment(spark, workload(spark, sf_dir, letter, scale), p)
 
 
-def missing_sweep(spark: SparkSession, sf_dir: str, rates=(0.0, 0.2, 0.4), rows: int = 300, p: Params = RUN, patterns=("unimportant",)) -> DataFrame:
+def missing_sweep(spark: SparkSession, sf_dir: str, rates=RATES, rows: int = CUTS["A"].rows, shared: int = CUTS["A"].shared_rows, p: Params = RUN, patterns=("unimportant",)) -> DataFrame:
     """Scores over a grid of left and right missing rates, and of where gaps lie."""
     out = []
     for pattern in patterns:
         for a in rates:
             for b in rates:
-                cut = replace(_cut(f"MS-{a}-{b}", "BA", _BA, rows, rows // 5, a), missing_right=b, pattern=pattern)
+                cut = replace(_cut(f"MS-{a}-{b}", "BA", _BA, rows, shared, a), missing_right=b, pattern=pattern)
                 got = plans.experiment(spark, cut_pair(spark, sf_dir, cut), p)
                 out += [(pattern, a, b, r["method"], r["task"], r["f1"]) for r in got.collect()]
     return spark.createDataFrame(out, "pattern string, left_rate double, right_rate double, method string, task string, f1 double")
@@ -124,16 +128,16 @@ def experiment_two(spark: SparkSession, sf_dir: str, p: Params = RUN, scale: flo
 
 
 def _wl(letter: str):
-    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-        return run(spark, sf_dir, letter, replace(RUN, walks_per_node=2, walk_length=8, dim=64), scale=0.1 if CUTS[letter].rows > 1000 else 0.3)
-
-    return query
+    return lambda spark, sf_dir: run(spark, sf_dir, letter)
 
 
 def _props(letter: str):
     return lambda spark, sf_dir: achieved(spark, workload(spark, sf_dir, letter))
 
 
-#: Each end-to-end run takes a minute; the other letters run through ``experiment_one`` and ``experiment_two``.
-QUERIES = {f"wl_{k}": (_wl(k), None) for k in "AEHKLO"} | {f"wl_{k}_properties": (_props(k), None) for k in CUTS}
-QUERIES["wl_confusable"] = (lambda s, d: plans.experiment(s, confusable(s, d), replace(RUN, walks_per_node=2, walk_length=8, dim=64)), None)
+#: All at the size and with the walks of the experiments; tests run smaller ones through ``run``.
+QUERIES = {f"wl_{k}": (_wl(k), None) for k in CUTS} | {f"wl_{k}_properties": (_props(k), None) for k in CUTS}
+QUERIES["wl_confusable"] = (lambda s, d: plans.experiment(s, confusable(s, d), RUN), None)
+QUERIES["wl_missing_sweep"] = (lambda s, d: missing_sweep(s, d), None)
+QUERIES["wl_missing_patterns"] = (lambda s, d: missing_sweep(s, d, (0.2, 0.4), patterns=PATTERNS), None)
+QUERIES["wl_ablation"] = (lambda s, d: plans.ablate(s, workload(s, d, "A"), RUN), None)
