@@ -7,6 +7,11 @@ borders that a perturbation crosses.  Buckets are met as blocks: the vectors of
 a bucket as one matrix, its queries as another; each block gives every query
 its few best by exact cosine, and these are merged over tables and probes.
 
+The number of hashes grows with the table only as far as tables and probes can
+make up for it: before anything is hashed, the chance that a pair at the
+neighbour cosine meets is estimated, and the cheapest plan is taken whose chance
+reaches the wanted one.
+
 Equal vectors are one entry of the index, with its smallest ids.  Buckets larger
 than a block are split by a salt, and their queries meet every part.
 """
@@ -14,6 +19,7 @@ than a block are split by a salt, and their queries meet every part.
 from __future__ import annotations
 
 import heapq
+import itertools
 import math
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -29,6 +35,7 @@ from linkgraph.llm.common import as_long, materialise, mix
 @dataclass(frozen=True)
 class AnnParams:
     k: int = 5
+    #: Least tables, and least probes in each; more are taken where the chance asks for it.
     tables: int = 8
     probes: int = 40
     #: Width of a cell; projections of unit vectors have deviation 1.
@@ -39,12 +46,57 @@ class AnnParams:
     bits_per_hash: float = 1.8
     #: Vectors of a bucket in one block.
     block: int = 4096
+    #: A pair of this cosine is met with this chance, whatever the size of the table.
+    cosine: float = 0.4
+    chance: float = 0.95
+    #: Compared pairs that cost as much as one row moved to a bucket.
+    pairs_per_row: float = 400.0
     seed: int = 977
 
     def hashes(self, n: int) -> int:
         return max(1, round(math.log2(max(2.0, n / self.bucket_target)) / self.bits_per_hash))
 
 
+def probe_ranks(params: AnnParams, n_hash: int, cosine: float, pairs: int = 2000) -> np.ndarray:
+    """For drawn pairs of unit vectors, the place in the probe order at which the one meets the other, in rising order; infinite if never."""
+    rng = np.random.default_rng((params.seed, n_hash))
+    x, other, shift = rng.normal(size=(pairs, n_hash)), rng.normal(size=(pairs, n_hash)), rng.uniform(0, params.width, (pairs, n_hash))
+    place = (x + shift) / params.width
+    cell = np.floor(place)
+    inside = place - cell
+    step = np.floor((cosine * x + math.sqrt(1 - cosine * cosine) * other + shift) / params.width) - cell
+    cost = np.stack([inside**2, np.zeros_like(inside), (1 - inside) ** 2], axis=2)
+    total, code = np.zeros((pairs, 1)), np.zeros(pairs, np.int64)
+    for k in range(n_hash):
+        total = (total[:, :, None] + cost[:, k, None, :]).reshape(pairs, -1)
+        code = code * 3 + np.clip(step[:, k] + 1, 0, 2).astype(np.int64)
+    rank = (total < total[np.arange(pairs), code][:, None]).sum(axis=1).astype(float)
+    rank[(np.abs(step) > 1).any(axis=1)] = np.inf
+    return np.sort(rank)
+
+
+#: Hashes of which all perturbations can be listed.
+_MOST_HASHES = 7
+
+
+def plan(params: AnnParams, n: int, queries: int) -> tuple[int, int, int]:
+    """Hashes, tables and probes: the cheapest that give a pair at ``cosine`` the wanted chance."""
+    best: tuple[float, tuple[int, int, int]] | None = None
+    for h in range(1, min(params.hashes(n), _MOST_HASHES) + 1):
+        near, far = probe_ranks(params, h, params.cosine), probe_ranks(params, h, 0.0)
+        for tables in range(params.tables, 8 * params.tables + 1):
+            need = math.ceil(len(near) * (1 - (1 - params.chance) ** (1 / tables)))  # pairs met in one table
+            probes = max(near[need - 1] + 1, params.probes)
+            if not math.isfinite(probes):
+                continue
+            probes = min(int(probes), 3**h)
+            met = np.searchsorted(far, probes) / len(far)
+            cost = tables * (n + queries * probes + queries * n * met / params.pairs_per_row)
+            if best is None or cost < best[0]:
+                best = cost, (h, tables, probes)
+    return best[1] if best else (1, params.tables, 3)
+
+
 def _projections(params: AnnParams, n_hash: int, table: int, dim: int) -> tuple[np.ndarray, np.ndarray]:
     rng = np.random.default_rng((params.seed, table, dim))
     return rng.normal(size=(dim, n_hash)), rng.uniform(0, params.width, n_hash)
@@ -90,7 +142,7 @@ def _by_dim(batch: pa.RecordBatch) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         yield rows, _matrix(batch.column("v").take(pa.array(rows)))
 
 
-def _hashed(params: AnnParams, n_hash: int):
+def _hashed(params: AnnParams, n_hash: int, tables: int, probes: int):
     """Rows (entry, v, asks) to (key, side, entry, v): index rows, and probe rows of queries."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -103,7 +155,7 @@ def _hashed(params: AnnParams, n_hash: int):
                     x = x / np.linalg.norm(x, axis=1)[:, None]
                     vectors = batch.column("v").take(pa.array(rows))
                     keys, sides, picks = [], [], []
-                    for table in range(params.tables):
+                    for table in range(tables):
                         a, b = _projections(params, n_hash, table, x.shape[1])
                         place = (x @ a + b) / params.width
                         cells = np.floor(place).astype(np.int64)
@@ -111,7 +163,7 @@ def _hashed(params: AnnParams, n_hash: int):
                         sides.append(np.zeros(len(rows), np.int32))
                         picks.append(np.arange(len(rows)))
                         for q in np.flatnonzero(asks[rows]):
-                            order = probe_order(place[q] - cells[q], params.probes)
+                            order = probe_order(place[q] - cells[q], probes)
                             visited = np.repeat(cells[q][None], len(order), axis=0)
                             for m, change in enumerate(order):
                                 for k, step in change:
@@ -191,14 +243,14 @@ def nearest(vectors: DataFrame, is_query, params: AnnParams = AnnParams()) -> Da
     entries = ids.groupBy(*by_vector).agg(F.min("vec_id").alias("entry"), F.max("asks").alias("asks"))
     # an entry's vector is that of its smallest id
     entries = materialise(clean.select("vec_id", "h1", "h2", "v").join(entries.withColumnRenamed("entry", "vec_id"), ["vec_id", *by_vector]).dropDuplicates(["vec_id", *by_vector]).select(F.col("vec_id").alias("entry"), *by_vector, "v", "asks"), "entries")
-    n = entries.count()
-    rows = materialise(entries.select("entry", "v", "asks").mapInArrow(_hashed(params, params.hashes(n)), "key long, side int, entry long, v array<double>"), "hashed")
+    n, asking = entries.agg(F.count(F.lit(1)), F.count_if("asks")).first()
+    rows = materialise(entries.select("entry", "v", "asks").mapInArrow(_hashed(params, *plan(params, n, asking)), "key long, side int, entry long, v array<double>"), "hashed")
     sizes = rows.filter("side = 0").groupBy("key").agg(F.ceil(F.count(F.lit(1)) / params.block).cast("int").alias("parts"))
     rows = rows.join(sizes, "key")  # a probe of an empty bucket ends here
     own = F.pmod(F.xxhash64("entry"), F.col("parts")).cast("int")
     salted = rows.withColumn("salt", F.explode(F.when(F.col("side") == 0, F.array(own)).otherwise(F.sequence(F.lit(0), F.col("parts") - 1))))
     blocks = salted.select("key", "salt", "side", "entry", "v").repartition("key", "salt").sortWithinPartitions("key", "salt", "side")
-    # a query meets at most tables * probes blocks, each of which names k entries
+    # a query meets at most tables * probes buckets, each block of which names k entries
     met = blocks.mapInArrow(_best_of_blocks(params), "query long, hits array<struct<id:long,score:double>>").groupBy("query").agg(F.flatten(F.collect_list("hits")).alias("hits"))
     by_entry = met.withColumn("hits", F.array_sort("hits"))
     once = F.expr("filter(hits, (x, i) -> i = 0 or hits[i - 1].id <> x.id)")

@@ -52,3 +52,17 @@ def test_neighbours(spark):
         assert all(abs(s[i] - v) < 1e-9 for i, v in got)
     assert hits >= 0.9 * 40
     assert [i for i, _ in found[100]] == [101, 102, 103, 104, 105] and [i for i, _ in found[150]] == [100, 101, 102, 103, 104]
+
+
+def test_recall_does_not_fall_with_the_hashes(spark):
+    """Small buckets, as if the table were a few hundred times larger."""
+    rng = np.random.default_rng(5)
+    x = rng.normal(size=(1500, 64))
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    rows = [(i, v.tolist()) for i, v in enumerate(x)]
+    params = AnnParams(bucket_target=1)
+    out = nearest(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), F.pmod("vec_id", F.lit(50)) == 0, params).collect()
+    score = x @ x.T
+    np.fill_diagonal(score, -2)
+    hits = sum(r["vec_id"] in set(np.argsort(-score[r["query_id"]])[:5]) for r in out)
+    assert params.hashes(1500) == 6 and hits >= 0.9 * 30 * 5
