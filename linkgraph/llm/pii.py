@@ -39,8 +39,9 @@ _VALID = {
     "card": "length(regexp_replace(m, '[^0-9]', '')) between 16 and 19 and luhn_check(regexp_replace(m, '[^0-9]', ''))",
     "phone": "length(regexp_replace(m, '[^0-9]', '')) between 8 and 15",
 }
-#: A token with a digit, of six characters at least, and up to two words before it.
-_CANDIDATE = r"(?<![^\s])(?:[^\s]{1,40}+[\x20\t]++){0,2}+(?=[^\s0-9]{0,40}[0-9])[^\s]{6,80}+(?![^\s])"
+#: A token with a digit, of six characters at least; and up to two words that end a text.
+_CANDIDATE = r"(?<![^\s])(?=[^\s0-9]{0,40}[0-9])[^\s]{6,80}+(?![^\s])"
+_CONTEXT = r"(?<![^\s])(?:[^\s]{1,40}+[\x20\t]++){0,2}\z"
 _NO_SPANS = "cast(array() as array<struct<kind:string,s:int,e:int>>)"
 
 
@@ -94,17 +95,18 @@ def base_spans(docs: DataFrame) -> DataFrame:
 def _candidates(spanned: DataFrame) -> DataFrame:
     """Adds ``cands``: identifier-like tokens with place, left context and whether a seed.
 
-    The pattern's match includes the words before the token, so tokens that
-    follow each other within two words are told apart by the last word only.
+    The pattern takes the token alone; its context is read off what lies before
+    it, which may hold other tokens.
     """
     literal = "r'" + _CANDIDATE + "'"
     out = spanned.withColumn("_hits", F.expr(f"if(text rlike '[0-9]', regexp_extract_all(text, {literal}, 0), cast(array() as array<string>))"))
     out = out.withColumn("_pieces", F.expr(f"if(size(_hits) > 0, split(text, {literal}, -1), cast(array() as array<string>))"))
     strip = r"r'^[^\p{L}\p{N}+]+|[^\p{L}\p{N}]+$'"
-    item = f"""transform(acc.out, x -> named_struct(
+    before = "concat(if(i > 1, _hits[i - 2], ''), if(i > 0, concat(_pieces[i - 1], _hits[i - 1]), ''), _pieces[i])"
+    item = f"""transform(acc.out, (x, i) -> named_struct(
         'e', x.e - (length(x.m) - length(regexp_replace(x.m, r'[^\\p{{L}}\\p{{N}}]+$', ''))),
-        'tok', regexp_replace(regexp_extract(x.m, r'[^\\s]+$', 0), {strip}, ''),
-        'left', lower(trim(regexp_replace(x.m, r'[^\\s]+$', '')))))"""
+        'tok', regexp_replace(x.m, {strip}, ''),
+        'left', lower(trim(regexp_extract({before}, r'{_CONTEXT}', 0)))))"""
     out = out.withColumn("_placed", F.when(F.expr("size(_hits) = 0"), F.expr("cast(array() as array<struct<e:int,tok:string,left:string>>)")).otherwise(_placed("_hits", "_pieces", item)))
     cands = """filter(transform(_placed, x -> named_struct(
         's', x.e - length(x.tok), 'e', x.e, 'left', x.left,

@@ -5,7 +5,7 @@ import re
 
 from linkgraph.llm.decontaminate import contamination, drop_contaminated
 from linkgraph.llm.licenses import licenses
-from linkgraph.llm.pii import PiiParams, mask, pii
+from linkgraph.llm.pii import PiiParams, _candidates, base_spans, mask, pii
 from linkgraph.llm.quality import ResamplingParams, resample
 from linkgraph.llm.toxicity import ToxicityModel, ToxicityParams, fold, toxicity
 
@@ -58,6 +58,26 @@ def test_contexts_find_new_identifiers(docs_of):
     assert out[6] == f"other:{start}:{start + 9}"
 
 
+def test_every_identifier_is_a_candidate(docs_of):
+    texts = [*HARD, "Phone: 555-123-4567 or write", "123456789 is the id of it", "account 12345678 belongs to Bob", "Passport X1234567 was issued", "SSN is 123456789 and 987654321 too", "a1b2c3 d4e5f6 g7h8i9\nk1l2m3\tn4o5p6 " + "w" * 41 + " q7r8s9", "x\n 12345678"]
+    got = {r["doc_id"]: [(c["inst"], c["left"]) for c in r["cands"]] for r in _candidates(base_spans(docs_of(enumerate(texts)))).collect()}
+    for k, text in enumerate(texts):
+        want = []
+        for m in re.finditer(r"(?a:\S+)", text):
+            inst = re.sub(r"^[^\w+]+|\W+$", "", m.group())
+            if 6 <= len(m.group()) <= 80 and re.match(r"[^0-9]{0,40}[0-9]", m.group()) and len(inst) >= 6:
+                left = re.search(r"(?:(?<!\S)\S{1,40}[ \t]+)?(?:(?<!\S)\S{1,40}[ \t]+)?\Z", text[: m.start()]).group()
+                want.append((inst, left.strip(" ").lower()))
+        assert got[k] == want, text[:60]
+    assert got[len(HARD) + 4] == [("123456789", "ssn is"), ("987654321", "123456789 and")]
+
+
+def test_labelled_lines(docs_of):
+    texts = [f"ID a{k}@x.org more" for k in range(6)] + ["words\nID 12345678 more words"]
+    out = {r["doc_id"]: r["spans"] for r in pii(docs_of(enumerate(texts)), PiiParams()).collect()}
+    assert out[6] == "other:9:17"
+
+
 def test_mask(docs_of):
     docs = docs_of([(1, "to x@y.org or 10.0.0.1 now"), (2, None), (3, "plain")])
     got = {r["doc_id"]: (r["text"], r["spans"]) for r in mask(docs).collect()}
