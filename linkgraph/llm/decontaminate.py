@@ -5,7 +5,9 @@ resulting templates are looked up by hash, and where windows of an item are
 found in a document, both are aligned token by token: literal tokens must be
 equal, and a slot counts only if the item's value maps to one value of the
 document throughout.  So a question with other numbers or names is caught, and
-text that merely has the same shape is not.
+text that merely has the same shape is not.  Items without a window of enough
+literal words are looked up as a whole, by their values and by their template;
+there all tokens must agree.
 
 Texts are tokenised on UTF-8 bytes, many rows at a time.  The benchmark is
 shipped to the workers in blocks of a proven size, each of which meets all
@@ -39,7 +41,7 @@ class DecontaminationParams:
     #: Template tokens in a window, and how many of them must be literal.
     width: int = 8
     literal_least: int = 4
-    #: Items with fewer tokens are too short to be recognised.
+    #: Items with fewer tokens are too short to be recognised within a text; they are found as whole rows.
     item_least: int = 4
     #: Share of an item's tokens that a document must hold in line.
     share_least: float = 0.5
@@ -150,6 +152,27 @@ def windows(tokens: Tokens, width: int, literal_least: int) -> tuple[np.ndarray,
     return at, mix(total[at] + np.uint64(width))
 
 
+def whole_runs(codes: np.ndarray, rows: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
+    """First token and hash of every run of ``width`` codes within a row, whatever they are."""
+    n = len(codes)
+    if n < width:
+        return np.zeros(0, np.int64), np.zeros(0, np.uint64)
+    total = np.append(np.uint64(0), np.cumsum(codes * powers(n)[:n], dtype=np.uint64))
+    row = np.repeat(np.arange(len(rows)), rows)
+    at = np.flatnonzero(row[: n - width + 1] == row[width - 1 :])
+    return at, mix((total[at + width] - total[at]) * powers(n, "down")[at] + np.uint64(width))
+
+
+def _matches(keys: np.ndarray, place: np.ndarray, value: np.ndarray) -> Iterator[tuple[int, int]]:
+    """Places whose value is a key, with the key's position; ``keys`` are sorted and may repeat."""
+    left = np.searchsorted(keys, value)
+    same = keys[np.minimum(left, len(keys) - 1)] == value
+    right = np.searchsorted(keys, value[same], side="right")
+    for p, a, b in zip(place[same], left[same], right, strict=True):
+        for k in range(a, b):
+            yield int(p), k
+
+
 class Benchmark:
     """Template windows of a block of items, ready for look-up."""
 
@@ -168,9 +191,59 @@ class Benchmark:
             at, value = windows(tokens, width, min(params.literal_least, width - 1))
             fits = np.minimum(self.size[row[at]], params.width) == width
             at, value = at[fits], value[fits]
+            # an item's first word may be taken for a name where no sentence begins
+            begins = at[(at == self.begin[row[at]]) & (tokens.kind[at] == LITERAL)]
+            other = Tokens(tokens.template.copy(), tokens.value, tokens.kind.copy(), tokens.rows)
+            other.template[begins], other.kind[begins] = _SLOT_HASHES[NAME], NAME
+            at2, value2 = windows(other, width, min(params.literal_least, width - 1))
+            more = np.isin(at2, begins)
+            at, value = np.append(at, at2[more]), np.append(value, value2[more])
             order = np.argsort(value, kind="stable")
             self.tables[width] = value[order], at[order]
         self.row = row
+        self._index_whole()
+
+    def _index_whole(self) -> None:
+        """Values and templates of the items that windows may miss: short ones, and those without a window beyond the first word."""
+        tokens, params = self.tokens, self.params
+        safe = {int(self.row[a]) for _, at in self.tables.values() for a in at if a != self.begin[self.row[a]]}
+        values: dict[int, list[tuple[int, int]]] = {}
+        templates: dict[int, list[tuple[int, int]]] = {}
+
+        def add(index, codes: np.ndarray, item: int) -> None:
+            index.setdefault(len(codes), []).append((int(whole_runs(codes, np.array([len(codes)]), len(codes))[1][0]), item))
+
+        for item, size in enumerate(self.size):
+            if not size or item in safe:
+                continue
+            lo, hi = int(self.begin[item]), int(self.begin[item] + size)
+            add(values, tokens.value[lo:hi], item)
+            literal = tokens.kind[lo:hi] == LITERAL
+            if size >= params.item_least and literal.any():
+                add(templates, tokens.template[lo:hi], item)
+                if literal[0] and literal[1:].any():
+                    add(templates, np.append(_SLOT_HASHES[NAME], tokens.template[lo + 1 : hi]), item)
+        ordered = lambda index: {w: (np.array([h for h, _ in sorted(x)], np.uint64), [i for _, i in sorted(x)]) for w, x in index.items()}
+        self.values, self.templates = ordered(values), ordered(templates)
+
+    def _whole(self, tokens: Tokens) -> Iterator[tuple[int, int]]:
+        """Rows and the items that they hold as a whole."""
+        if not len(tokens.value):
+            return
+        doc_end = np.cumsum(tokens.rows)
+        doc_begin = doc_end - tokens.rows
+        doc_row = np.repeat(np.arange(len(tokens.rows)), tokens.rows)
+        for width, (keys, items) in self.values.items():
+            for p, k in _matches(keys, *whole_runs(tokens.value, tokens.rows, width)):
+                row = int(doc_row[p])
+                if width >= self.params.item_least or tokens.rows[row] == width:
+                    yield row, items[k]
+        for width, (keys, items) in self.templates.items():
+            for p, k in _matches(keys, *whole_runs(tokens.template, tokens.rows, width)):
+                row, begin = int(doc_row[p]), int(self.begin[items[k]])
+                good = self._in_line(tokens, items[k], p - begin, int(doc_begin[row]), int(doc_end[row]))
+                if len(good) == width or (len(good) == width - 1 and good[0] == begin + 1):
+                    yield row, items[k]
 
     def hits(self, tokens: Tokens) -> dict[int, dict[int, float]]:
         """Row to item to the share of the item's tokens found in line."""
@@ -180,17 +253,10 @@ class Benchmark:
             if not len(keys):
                 continue
             place, value = windows(tokens, width, min(self.params.literal_least, width - 1))
-            left = np.searchsorted(keys, value)
-            same = keys[np.minimum(left, len(keys) - 1)] == value
-            if not same.any():
-                continue
             if doc_row is None:
                 doc_row = np.repeat(np.arange(len(tokens.rows)), tokens.rows)
-            right = np.searchsorted(keys, value[same], side="right")
-            for p, a, b in zip(place[same], left[same], right, strict=True):
-                for k in range(a, b):
-                    item = int(self.row[at[k]])
-                    lines.setdefault(int(doc_row[p]), set()).add((item, int(p - at[k])))
+            for p, k in _matches(keys, place, value):
+                lines.setdefault(int(doc_row[p]), set()).add((int(self.row[at[k]]), int(p - at[k])))
         found: dict[int, dict[int, float]] = {}
         if lines:
             doc_end = np.cumsum(tokens.rows)
@@ -203,6 +269,8 @@ class Benchmark:
                 shares = {i: s for i, s in shares.items() if s >= self.params.share_least}
                 if shares:
                     found[row] = shares
+        for row, item in self._whole(tokens):
+            found.setdefault(row, {})[item] = 1.0
         return found
 
     def _in_line(self, tokens: Tokens, item: int, shift: int, lo: int, hi: int) -> np.ndarray:
@@ -212,6 +280,7 @@ class Benchmark:
         mine, theirs = slice(a, b), slice(a + shift, b + shift)
         kind = self.tokens.kind[mine]
         equal = (self.tokens.template[mine] == tokens.template[theirs]) & (kind == tokens.kind[theirs])
+        equal |= (kind == LITERAL) & (self.tokens.value[mine] == tokens.value[theirs])
         slots = np.flatnonzero(equal & (kind != LITERAL))
         maps: dict[tuple[int, int], int] = {}
         for k in slots:

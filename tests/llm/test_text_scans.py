@@ -129,6 +129,14 @@ def test_decontamination(spark, docs_of):
     assert not any(r["contaminated"] for r in contamination(docs_of(enumerate(texts)), bench.limit(0)).collect())
 
 
+def test_decontamination_of_short_and_numeric_items(spark, docs_of):
+    items = ["Compute 12 * 34 + 5.", "What is 12 x 34?", "Name the tallest mountain here", "12 34 56 78", "Why so"]
+    bench = spark.createDataFrame([*enumerate(items)], "item_id long, text string")
+    texts = ["some text. Compute 12 * 34 + 5. more", "they ask What is 12 x 34? here", "and then Name the tallest mountain here", "x 12 34 56 78 y", "Why so?", "What is 7 x 9?", "1 2 3 4 and 9 8 7 6", "tell why so many", "What was 12 x 34", ""]
+    got = {r["doc_id"]: r["items"] for r in contamination(docs_of(enumerate(texts)), bench).collect()}
+    assert got == {0: "0", 1: "1", 2: "2", 3: "3", 4: "4", 5: "1", 6: "", 7: "", 8: "", 9: ""}
+
+
 def test_resampling(spark, docs_of):
     texts = [("good clear words about science and art" if k % 4 else "### zzz ### qqq ###") + f" n{k % 5}" for k in range(80)]
     labels = spark.createDataFrame([(k, int(k % 4 > 0)) for k in range(80)], "doc_id long, quality int")
