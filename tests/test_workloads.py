@@ -1,5 +1,9 @@
 """The registered experiments run whole."""
 
+import pytest
+
+from linkgraph.params import Params
+from linkgraph.plans import catalog
 from linkgraph.plans import workloads as w
 
 
@@ -32,3 +36,18 @@ def test_sweep_is_whole(monkeypatch):
     assert len(rows) == len(cuts) == 49 and max(r[1] for r in rows) == max(r[2] for r in rows) == 0.5
     assert {r[0] for r in w.QUERIES["wl_missing_patterns"][0](Session(), "")} == set(w.PATTERNS)
     assert {(c.rows, c.shared_rows) for c in cuts} == {(777, 55)}
+
+
+def test_link_queries_use_all_parameters(monkeypatch):
+    seen = []
+
+    def link(spark, pair, p, cost=False):
+        seen.append(p)
+        raise InterruptedError
+
+    monkeypatch.setattr(catalog, "_pair", lambda spark, d: None)
+    monkeypatch.setattr(catalog.plans, "link", link)
+    for name in ("link_natural", "link_tripartite"):
+        with pytest.raises(InterruptedError):
+            catalog.QUERIES[name][0](None, "")
+    assert seen == [Params(), Params().tripartite()]
