@@ -22,11 +22,14 @@ STEP_BYTES = 2 << 20
 def shared_dir(spark: SparkSession) -> str:
     """The folder all executors share: ``spark.checkpoint.dir``.
 
-    Only where the cluster names none (tests on one machine) a temporary
-    folder is chosen and remembered in the session.
+    Only in local mode (tests on one machine), where the session names none, a
+    temporary folder is chosen and remembered in the session; a cluster without
+    the setting is an error, as executors share no local folder.
     """
     where = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("linkgraph.shared.dir", None)
     if not where:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         where = "file://" + tempfile.mkdtemp(prefix="linkgraph-")
         spark.conf.set("linkgraph.shared.dir", where)
     return where.rstrip("/")
@@ -43,6 +46,19 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def join_spread(rows: DataFrame, table: DataFrame, keys: list[str], count: str, total: int, share: float = 0.001) -> DataFrame:
+    """``rows`` joined with ``table``, which has one row a key and the key's number of rows.
+
+    Keys that hold more than ``share`` of all ``total`` rows are broadcast; there
+    can be at most ``1 / share`` of them.  The others are joined by a shuffle in
+    which no key is larger than that share.
+    """
+    hot = table.filter(F.col(count) > total * share)
+    cold = table.filter(F.col(count) <= total * share)
+    rest = rows.join(F.broadcast(hot.select(*keys)), keys, "left_anti")
+    return rows.join(F.broadcast(hot), keys).unionByName(rest.join(cold, keys))
+
+
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 

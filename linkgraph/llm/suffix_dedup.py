@@ -11,6 +11,9 @@ the others follow from the two orders.
 
 Groups of distinct runs beyond ``group_max`` are not sorted in one task: their
 windows are counted one by one under their hashes, which spreads over all tasks.
+
+The symbols of a text are its bytes or, to report passages that documents share,
+its words.
 """
 
 from __future__ import annotations
@@ -25,7 +28,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from linkgraph.llm.common import as_long, materialise, mix, powers, row_slices, text_bytes
+from linkgraph.llm.common import as_long, join_spread, materialise, mix, powers, row_slices, text_bytes
+from linkgraph.llm.shingles import word_hashes
 from linkgraph.llm.suffix_sort import deep_shallow
 
 #: Bits of a place within a slice that break ties of the anchor hash.
@@ -34,14 +38,31 @@ _PLACE_BITS = 26
 
 @dataclass(frozen=True)
 class SuffixDedupParams:
+    #: Symbols of a repeated string, and of the pieces that mark anchors.
     length: int = 400
     gram: int = 200
+    #: What a symbol is: "byte", or "word" (32 bits of its hash).
+    unit: str = "byte"
+    #: Whether only anchors that stand in several documents count.
+    across: bool = False
     #: Distinct runs of an anchor that one task sorts at most.
     group_max: int = 20_000
     #: Bits of the filter that keeps texts out of joins they cannot match (bounded size).
     filter_bits: int = 24
 
 
+#: Passages: strings of 50 words that several documents share.
+PASSAGES = SuffixDedupParams(length=50, gram=25, unit="word", across=True)
+
+
+def symbols(data: np.ndarray, offsets: np.ndarray, unit: str) -> tuple[np.ndarray, np.ndarray]:
+    """The symbols of the rows and the offsets of the rows in them."""
+    if unit == "byte":
+        return data, offsets
+    words, rows = word_hashes(data, offsets)
+    return (words >> np.uint64(32)).astype(np.uint32), np.append(0, np.cumsum(rows))
+
+
 def sliding_min(x: np.ndarray, width: int) -> np.ndarray:
     """Minimum of every ``width`` neighbours, in a constant number of passes."""
     n = len(x)
@@ -88,7 +109,7 @@ def _run_rows(params: SuffixDedupParams):
             data, offsets = text_bytes(batch.column("text"))
             ids = batch.column("rid").to_numpy()
             for lo, hi in row_slices(offsets):
-                got = runs_of(data, offsets[lo : hi + 1], params)
+                got = runs_of(*symbols(data, offsets[lo : hi + 1], params.unit), params)
                 if len(got["row"]):
                     names = ["rid", "anchor", "run", "p0", "p1", "a"]
                     yield pa.RecordBatch.from_arrays([pa.array(ids[lo + got["row"]]), pa.array(got["anchor"]), pa.array(got["run"]), *(pa.array(got[c].astype(np.int32)) for c in ("p0", "p1", "a"))], names=names)
@@ -96,18 +117,17 @@ def _run_rows(params: SuffixDedupParams):
     return run
 
 
-def _contents():
-    """Bytes of each run asked for: the text before the anchor reversed, and from the anchor on."""
+def _contents(params: SuffixDedupParams):
+    """Symbols of each run asked for, as bytes: those before the anchor reversed, and from the anchor on."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, offsets = text_bytes(batch.column("text"))
-            whole = data.tobytes() if batch.num_rows else b""
             for r, asked in enumerate(batch.column("asked")):
-                base, out = int(offsets[r]), []
+                text, ends = symbols(data, offsets[r : r + 2], params.unit)
+                text, out = text[ends[0] : ends[-1]], []
                 for q in asked.as_py():
-                    at = base + q["a"]
-                    out.append((q["anchor"], q["run"], whole[base + q["p0"] : at][::-1], whole[at : base + q["stop"]], q["a"] - q["p1"], q["c"]))
+                    out.append((q["anchor"], q["run"], text[q["p0"] : q["a"]][::-1].tobytes(), text[q["a"] : q["stop"]].tobytes(), q["a"] - q["p1"], q["c"]))
                 columns = list(zip(*out, strict=True))
                 kinds = [pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.int32(), pa.int64()]
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["anchor", "run", "before", "after", "near", "c"])
@@ -115,13 +135,15 @@ def _contents():
     return run
 
 
-def longest_matches(before: list[bytes], after: list[bytes], length: int) -> list[list[tuple[int, int]]]:
-    """For each run, spans around the anchor (bytes before, bytes after) that another run shares.
+def longest_matches(before: list[bytes], after: list[bytes], length: int, width: int = 1) -> list[list[tuple[int, int]]]:
+    """For each run, spans around the anchor (symbols before, symbols after) that another run shares.
+
+    A symbol is ``width`` bytes.
 
     Both sides are sorted.  Going down through the common prefixes of the left
     sides, groups that share that much of them are joined; within a group, a
     run's longest common right side is with a neighbour in the right order.
-    Only matches of ``length`` bytes in all are kept, without dominated ones.
+    Only matches of ``length`` symbols in all are kept, without dominated ones.
     """
     m = len(before)
     found: list[list[tuple[int, int]]] = [[] for _ in range(m)]
@@ -130,6 +152,8 @@ def longest_matches(before: list[bytes], after: list[bytes], length: int) -> lis
     for k, i in enumerate(r_order):
         rank[i] = k
     l_order, l_lcps = deep_shallow(before)
+    if width > 1:
+        r_lcps, l_lcps = [x // width for x in r_lcps], [x // width for x in l_lcps]
     # sparse table for the least common prefix between two ranks
     table = [r_lcps]
     while (step := 1 << len(table)) <= m:
@@ -180,7 +204,7 @@ def _sort_groups(params: SuffixDedupParams):
 
     def solve(rows: list[tuple]) -> tuple[list, list, list]:
         anchors, runs, spans = [], [], []
-        got = longest_matches([r[2] for r in rows], [r[3] for r in rows], params.length)
+        got = longest_matches([r[2] for r in rows], [r[3] for r in rows], params.length, 1 if params.unit == "byte" else 4)
         for (anchor, run, *_), pairs in zip(rows, got, strict=True):
             if pairs:
                 anchors.append(anchor)
@@ -221,15 +245,17 @@ def _sort_groups(params: SuffixDedupParams):
 
 def _window_rows(params: SuffixDedupParams):
     """Every window of an outsized group's runs, under a digest of its bytes."""
+    kind = np.uint8 if params.unit == "byte" else np.uint32
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             out: list[tuple] = []
             for anchor, key, before, after, near, c in zip(*(batch.column(k).to_pylist() for k in ("anchor", "run", "before", "after", "near", "c")), strict=True):
-                text = before[::-1] + after
-                for left in range(near, len(before) + 1):
-                    at = len(before) - left
-                    digest = hashlib.blake2b(text[at : at + params.length], digest_size=16).digest()
+                head = np.frombuffer(before, kind)[::-1]
+                text = np.concatenate([head, np.frombuffer(after, kind)])
+                for left in range(near, len(head) + 1):
+                    at = len(head) - left
+                    digest = hashlib.blake2b(text[at : at + params.length].tobytes(), digest_size=16).digest()
                     out.append((anchor, key, left, digest, c))
                 if len(out) > 20_000:
                     yield _as_windows(out)
@@ -284,10 +310,13 @@ def _remove(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def repeated_spans(docs: DataFrame, params: SuffixDedupParams = SuffixDedupParams()) -> DataFrame:
-    """``(rid, s, e)``: covered byte spans of the rows of ``docs`` (rid, text); they may overlap."""
+    """``(rid, s, e)``: covered spans of symbols of the rows of ``docs`` (rid, text); they may overlap."""
     runs = materialise(docs.mapInArrow(_run_rows(params), "rid long, anchor long, run long, p0 int, p1 int, a int"), "runs")
-    counts = runs.groupBy("anchor").agg(F.count(F.lit(1)).alias("total"), F.min("run").alias("lo"), F.max("run").alias("hi")).filter("total > 1")
-    live = materialise(runs.join(counts.select("anchor", (F.col("lo") != F.col("hi")).alias("mixed")), "anchor"), "live")
+    n_runs = runs.count()
+    several = "total > 1 and first <> last" if params.across else "total > 1"
+    counts = runs.groupBy("anchor").agg(F.count(F.lit(1)).alias("total"), F.min("run").alias("lo"), F.max("run").alias("hi"), F.min("rid").alias("first"), F.max("rid").alias("last")).filter(several)
+    counts = materialise(counts.select("anchor", "total", (F.col("lo") != F.col("hi")).alias("mixed")), "anchors")
+    live = materialise(join_spread(runs, counts, ["anchor"], "total", n_runs).drop("total"), "live")
     length = F.lit(params.length)
     mixed = live.filter("mixed")
     distinct = mixed.groupBy("anchor", "run").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("rid", "p0", "p1", "a")).alias("at"))
@@ -295,11 +324,11 @@ def repeated_spans(docs: DataFrame, params: SuffixDedupParams = SuffixDedupParam
     whole = (
         live.filter("not mixed")
         .select("rid", F.col("p0").alias("s"), (F.col("p1") + length).alias("e"))
-        .union(mixed.join(distinct.filter("c > 1").select("anchor", "run"), ["anchor", "run"]).select("rid", F.col("p0").alias("s"), (F.col("p1") + length).alias("e")))
+        .union(join_spread(mixed, distinct.filter("c > 1").select("anchor", "run", "c"), ["anchor", "run"], "c", n_runs).select("rid", F.col("p0").alias("s"), (F.col("p1") + length).alias("e")))
     )
     asked = distinct.groupBy("rid").agg(F.collect_list(F.struct("anchor", "run", "p0", "p1", "a", (F.col("p1") + length).alias("stop"), "c")).alias("asked"))
     texts = _only_possible(docs, distinct.select("rid"), params.filter_bits).dropDuplicates(["rid"])
-    contents = texts.join(asked, "rid").select("text", "asked").mapInArrow(_contents(), "anchor long, run long, before binary, after binary, near int, c long")
+    contents = texts.join(asked, "rid").select("text", "asked").mapInArrow(_contents(params), "anchor long, run long, before binary, after binary, near int, c long")
     sizes = distinct.groupBy("anchor").agg(F.count(F.lit(1)).alias("m"))
     big = materialise(sizes.filter(F.col("m") > params.group_max).select("anchor"), "big")
     some_big = not big.isEmpty()
@@ -318,9 +347,19 @@ def repeated_spans(docs: DataFrame, params: SuffixDedupParams = SuffixDedupParam
     return whole.union(partial)
 
 
-def suffix_dedup(docs: DataFrame, params: SuffixDedupParams = SuffixDedupParams(), with_text: bool = False) -> DataFrame:
+def shared_passages(docs: DataFrame, params: SuffixDedupParams = PASSAGES) -> DataFrame:
+    """``(rid, passage_words)``: how many words of a row of ``docs`` (rid, text) lie in shared passages."""
+    spans = repeated_spans(docs, params).groupBy("rid").agg(F.array_sort(F.collect_set(F.struct("s", "e"))).alias("spans"))
+    covered = F.expr("aggregate(spans, named_struct('at', 0, 'n', 0L), (acc, x) -> named_struct('at', greatest(acc.at, x.e), 'n', acc.n + greatest(0, x.e - greatest(acc.at, x.s))), acc -> acc.n)")
+    return materialise(spans.select("rid", covered.alias("passage_words")), "passages")
+
+
+def suffix_dedup(docs: DataFrame, params: SuffixDedupParams = SuffixDedupParams(), with_text: bool = False, passages: SuffixDedupParams | None = None) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for every row of ``docs``.
 
+    With ``passages``, also ``passage_words``: words in strings of that many
+    words that another document holds too, whatever their length in bytes.
+
     A null text counts as empty.  Rows that repeat both doc_id and text are
     copies of each other like any others.  ``with_text`` adds ``kept_text``
     (bytes that no longer form a character are left out of it).  Other columns
@@ -338,10 +377,14 @@ def suffix_dedup(docs: DataFrame, params: SuffixDedupParams = SuffixDedupParams(
     base = keyed.select("rid", "doc_id", F.octet_length("text").cast("long").alias("n_bytes"), F.sha2("text", 256).alias("own_sha"), *own)
     out = base.join(done, "rid", "left")
     zero = F.lit(0).cast("long")
+    more = [F.coalesce("kept_text", "text").alias("kept_text")] if with_text else []
+    if passages is not None:
+        out = out.join(shared_passages(keyed.filter(F.octet_length("text") >= 2 * passages.length - 1).select("rid", "text"), passages), "rid", "left")
+        more.append(F.coalesce("passage_words", zero).alias("passage_words"))
     columns = ["doc_id", "n_bytes", F.coalesce("n_removed", zero).alias("n_removed"), F.coalesce("n_spans", zero).alias("n_spans"), F.coalesce("kept_sha256", "own_sha").alias("kept_sha256")]
-    return out.select(*columns, *([F.coalesce("kept_text", "text").alias("kept_text")] if with_text else []))
+    return out.select(*columns, *more)
 
 
 def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Repeated 400-byte strings of the whole of ``documents``."""
-    return suffix_dedup(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+    """Repeated 400-byte strings of the whole of ``documents``, and the words in passages that documents share."""
+    return suffix_dedup(spark.read.parquet(f"{sf_dir}/documents.parquet"), passages=PASSAGES)
