@@ -1,15 +1,19 @@
 """License notices in whole texts, on DataFrame and SQL functions alone.
 
 Base labels are places of fixed phrases.  Beyond them an exact set-similarity
-join finds every text block (line) that contains enough of a template's words:
-words are ordered by their frequency over all documents, rarest first; a block
-must hold a word of a template's prefix (prefix filter), enough of the
-template's words (length filter), and still have enough words left after the
-first shared ones (positional filter); the survivors are compared in full.
+join finds every text block that contains enough of a template's words, where a
+block is any stretch of neighbouring words, little longer than the template,
+whatever lines it is wrapped over.  Words are ordered by their frequency over
+all documents, rarest first.  A block can match only if it holds a word of the
+template's prefix (prefix filter), so blocks are taken round such words alone;
+it must hold enough of the template's words (length filter), and still have
+enough words left after the first shared ones (positional filter); the
+survivors are compared in full, at every start.
 """
 
 from __future__ import annotations
 
+import re
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -47,6 +51,9 @@ class LicenseParams:
     templates: tuple[tuple[str, str], ...] = TEMPLATES
     #: Share of a template's distinct words that a block must contain.
     containment: float = 0.85
+    #: Words of a block by those of the template, and added to them.
+    stretch: float = 1.25
+    slack: int = 2
 
 
 def lowered(text: Column | str) -> Column:
@@ -57,10 +64,17 @@ def words_of(lower: Column) -> Column:
     return F.filter(F.split(lower, _SEPARATORS), lambda w: w != "")
 
 
+def _split(text: str) -> list[str]:
+    return [w for w in re.split(r"[\x00-\x2f\x3a-\x60\x7b-\x7f]+", text.translate(str.maketrans(_UPPER, _LOWER))) if w]
+
+
 def _template_words(text: str) -> list[str]:
-    import re
+    return list(dict.fromkeys(_split(text)))
 
-    return list(dict.fromkeys(w for w in re.split(r"[\x00-\x2f\x3a-\x60\x7b-\x7f]+", text.translate(str.maketrans(_UPPER, _LOWER))) if w))
+
+def _span(words: int, params: LicenseParams) -> int:
+    """Words of the blocks that a template of so many words is compared with."""
+    return max(words + params.slack, -int(-words * params.stretch // 1))
 
 
 def _needed(size: int, containment: float) -> int:
@@ -77,53 +91,61 @@ def _places(phrase: str) -> str:
 
 
 def scanned(docs: DataFrame, params: LicenseParams = LicenseParams()) -> DataFrame:
-    """One pass over the texts: word counts, base places, and blocks that pass the length filter."""
-    vocabulary = sorted({w for _, t in params.templates for w in _template_words(t)})
-    vocab = "array(" + ", ".join(f"'{w}'" for w in vocabulary) + ")"
-    least = min(_needed(len(_template_words(t)), params.containment) for _, t in params.templates)
-    rarest = "|".join(sorted({max(_template_words(t), key=len) for _, t in params.templates}))
+    """One pass over the texts: word counts, base places, the template words held, and their places.
+
+    Places are kept only for texts that hold enough words of some template.
+    """
+    lists = sorted({tuple(_template_words(t)) for _, t in params.templates})
+    vocabulary = ", ".join(f"'{w}'" for w in sorted({w for ws in lists for w in ws}))
     base = docs.select("doc_id", lowered("text").alias("lower"))
     base = base.withColumn("ws", words_of(F.col("lower")))
     for k, (phrase, _) in enumerate(PHRASES):
         base = base.withColumn(f"at{k}", F.expr(_places(phrase)))
+    base = base.withColumn("held", F.expr(f"array_intersect(ws, array({vocabulary}))"))
     hits = ", ".join(f"at{k}" for k in range(len(PHRASES)))
     labels = F.concat(*[F.when(F.size(f"at{k}") > 0, F.array(F.lit(label))).otherwise(F.expr("cast(array() as array<string>)")) for k, (_, label) in enumerate(PHRASES)])
-    # blocks are lines; what matters of a block is which template words it holds
-    held = f"array_intersect({vocab}, split(b, '{_SEPARATORS}'))".replace("\\", "\\\\")
-    blocks = f"filter(transform(split(lower, '\\n'), b -> {held}), h -> size(h) >= {least})"
+    enough = " or ".join(f"size(array_intersect(held, array({', '.join(map(repr, ws))}))) >= {_needed(len(ws), params.containment)}" for ws in lists)
+    least = min(_needed(len(ws), params.containment) for ws in lists)
+    places = f"filter(transform(ws, (w, i) -> if(w in ({vocabulary}), named_struct('i', i, 'w', w), null)), x -> x is not null)"
     out = base.select(
         "doc_id",
         F.size("ws").cast("long").alias("n_words"),
         F.expr(f"concat({hits})").alias("places"),
         labels.alias("base_labels"),
-        F.array_intersect("ws", F.expr(vocab)).alias("held"),
-        F.expr(blocks).alias("blocks"),
+        "held",
+        F.expr(f"if(size(held) >= {least} and ({enough}), {places}, cast(array() as array<struct<i:int,w:string>>))").alias("at"),
     )
-    del rarest
     return out.withColumn("rid", F.monotonically_increasing_id())
 
 
-def matched_blocks(blocks: DataFrame, frequency: DataFrame, params: LicenseParams = LicenseParams()) -> DataFrame:
-    """Exact join of blocks ``(rid, block, held)`` with the templates: (rid, label, share)."""
-    spark = blocks.sparkSession
-    rows = [(k, label, words, _needed(len(words), params.containment)) for k, (label, words) in enumerate((lab, _template_words(t)) for lab, t in params.templates)]
-    templates = spark.createDataFrame(rows, "template int, label string, ws array<string>, needed int")
-    freq = F.broadcast(frequency)  # one row a template word: of fixed size
-    # both sides in the same global order, rarest words first
-    ordered = lambda df, key: df.join(freq, "word", "left").groupBy(*key).agg(F.array_sort(F.collect_list(F.struct(F.coalesce("df", F.lit(0)).alias("df"), "word"))).alias("ws"))
-    t_words = ordered(templates.select("template", "label", "needed", F.explode("ws").alias("word")), ["template", "label", "needed"])
-    prefix = t_words.select("template", "label", "needed", F.size("ws").alias("t_size"), F.col("ws.word").alias("t_ws"), F.posexplode(F.expr("slice(ws, 1, size(ws) - needed + 1)")).alias("t_pos", "x"))
-    prefix = prefix.select("template", "label", "needed", "t_size", "t_ws", "t_pos", F.col("x.word").alias("word"))
-    b_words = ordered(blocks.select("rid", "block", F.explode("held").alias("word")), ["rid", "block"])
-    b_tokens = b_words.select("rid", "block", F.size("ws").alias("b_size"), F.col("ws.word").alias("b_ws"), F.posexplode("ws").alias("b_pos", "x")).select("rid", "block", "b_size", "b_ws", "b_pos", F.col("x.word").alias("word"))
-    first = (
-        b_tokens.join(F.broadcast(prefix), "word")
-        .filter((F.col("b_size") >= F.col("needed")) & (1 + F.least(F.col("t_size") - F.col("t_pos"), F.col("b_size") - F.col("b_pos")) - 1 >= F.col("needed") - F.col("t_pos")))
-        .groupBy("rid", "block", "template", "label", "needed", "t_size", "t_ws", "b_ws")
-        .agg(F.min("t_pos").alias("t_pos"))
+def matched_blocks(texts: DataFrame, frequency: DataFrame, params: LicenseParams = LicenseParams()) -> DataFrame:
+    """Exact join of the blocks of ``(rid, at)`` with the templates: (rid, label, share).
+
+    ``at`` lists the template words of a text with their places, in order.
+    """
+    spark = texts.sparkSession
+    rows = [(k, label, _template_words(text), _span(len(_split(text)), params)) for k, (label, text) in enumerate(params.templates)]
+    rows = [(k, label, ws, _needed(len(ws), params.containment), span) for k, label, ws, span in rows]
+    templates = spark.createDataFrame(rows, "template int, label string, t_set array<string>, needed int, span int")
+    # one row a template word: of fixed size, as are the templates
+    freq = F.broadcast(frequency)
+    ordered = (
+        templates.withColumn("word", F.explode("t_set"))
+        .join(freq, "word", "left")
+        .groupBy("template", "label", "t_set", "needed", "span")
+        .agg(F.array_sort(F.collect_list(F.struct(F.coalesce("df", F.lit(0)).alias("df"), "word"))).alias("o"))
+        .select("template", "label", "needed", "span", F.col("o.word").alias("t_ws"))
     )
-    share = F.size(F.array_intersect("t_ws", "b_ws"))
-    return first.filter(share >= F.col("needed")).select("rid", "label", (share / F.col("t_size")).alias("share"))
+    prefix = ordered.select("*", F.posexplode(F.expr("slice(t_ws, 1, size(t_ws) - needed + 1)")).alias("t_pos", "word"))
+    # blocks are taken round the words of a prefix
+    marks = texts.select("rid", "at", F.explode("at").alias("x")).select("rid", "at", F.col("x.i").alias("i"), F.col("x.w").alias("word"))
+    # a block's rarest shared word is its mark, so that only words after the mark in the order can add to it
+    near = F.expr("filter(at, x -> x.i > i - span and x.i < i + span and array_position(t_ws, x.w) > t_pos)")
+    blocks = marks.join(F.broadcast(prefix), "word").withColumn("block", near).drop("at")
+    blocks = blocks.filter(F.expr("size(array_distinct(block.w)) >= needed"))
+    share = F.expr("array_max(transform(block, s -> size(array_distinct(transform(filter(block, x -> x.i >= s.i and x.i < s.i + span), x -> x.w)))))")
+    found = blocks.select("rid", "label", "needed", F.size("t_ws").alias("t_size"), share.alias("n")).filter("n >= needed")
+    return found.select("rid", "label", (F.col("n") / F.col("t_size")).alias("share"))
 
 
 def licenses(docs: DataFrame, params: LicenseParams = LicenseParams()) -> DataFrame:
@@ -135,9 +157,8 @@ def licenses(docs: DataFrame, params: LicenseParams = LicenseParams()) -> DataFr
     """
     rows = materialise(scanned(docs, params), "license_scan")
     frequency = rows.select(F.explode("held").alias("word")).groupBy("word").agg(F.count(F.lit(1)).alias("df"))
-    blocks = rows.filter("size(blocks) > 0").select("rid", F.posexplode("blocks").alias("block", "held"))
-    found = matched_blocks(blocks, frequency, params).groupBy("rid").agg(F.array_sort(F.collect_set("label")).alias("more"), F.max("share").alias("share"))
-    out = rows.drop("blocks", "held").join(found, "rid", "left")
+    found = matched_blocks(rows.filter("size(at) > 0").select("rid", "at"), frequency, params).groupBy("rid").agg(F.array_sort(F.collect_set("label")).alias("more"), F.max("share").alias("share"))
+    out = rows.drop("at", "held").join(found, "rid", "left")
     none = F.expr("cast(array() as array<string>)")
     return out.select(
         F.col("doc_id").cast("long").alias("doc_id"),
