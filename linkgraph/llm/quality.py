@@ -2,10 +2,10 @@
 
 Two bag-of-n-grams models over ``buckets`` hashes are estimated: one of target
 text (labelled as good) and one of all raw text.  A document's log importance
-is the sum, over its n-grams, of the logarithm of their ratio, brought to one
-length for all documents so that long ones are not favoured; documents are
+is the sum, over its n-grams, of the logarithm of their ratio; documents are
 sampled without replacement in proportion to it by adding Gumbel noise to the
-log weights and keeping the largest.
+log importance and keeping the largest.  As that sum favours long documents, a
+second sample with the same noise takes the importance brought to one length.
 """
 
 from __future__ import annotations
@@ -15,7 +15,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from linkgraph.llm.common import materialise, mix, row_slices, text_bytes
@@ -29,7 +29,7 @@ class ResamplingParams:
     order: int = 2
     #: Share of the documents that is kept.
     share: float = 0.85
-    #: N-grams that every document's mean log ratio is scaled to (0: the plain sum).
+    #: N-grams that every document's mean log ratio is scaled to for the second sample.
     length: float = 400.0
     #: Labelled documents that the target model uses at most.
     max_target: int = 20_000
@@ -85,7 +85,10 @@ def target_docs(docs: DataFrame, labels: DataFrame, params: ResamplingParams) ->
 
 
 def weights(docs: DataFrame, ratio: np.ndarray, params: ResamplingParams) -> DataFrame:
-    """doc_id, n_grams, log_weight and score for every row.
+    """doc_id, n_grams, log_importance, log_weight and score for every row.
+
+    ``log_importance`` is the plain sum of log ratios, ``log_weight`` their mean
+    times ``length``.
 
     The score is the logistic of the mean log ratio, which does not grow with
     length; rows without words weigh 0 and score 0.5.
@@ -102,40 +105,67 @@ def weights(docs: DataFrame, ratio: np.ndarray, params: ResamplingParams) -> Dat
                 total = np.bincount(row, weights=table[bucket], minlength=hi - lo)
                 count = np.bincount(row, minlength=hi - lo)
                 mean = total / np.maximum(count, 1)
-                if params.length:
-                    total = mean * params.length
-                yield pa.RecordBatch.from_arrays([ids.slice(lo, hi - lo), pa.array(count.astype(np.int64)), pa.array(total), pa.array(1 / (1 + np.exp(-mean)))], names=["doc_id", "n_grams", "log_weight", "score"])
+                columns = [ids.slice(lo, hi - lo), pa.array(count.astype(np.int64)), pa.array(total), pa.array(mean * params.length), pa.array(1 / (1 + np.exp(-mean)))]
+                yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "n_grams", "log_importance", "log_weight", "score"])
+
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_grams long, log_importance double, log_weight double, score double")
+
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_grams long, log_weight double, score double")
+def _kth(rows: DataFrame, name: str, k: int) -> float | int:
+    """The ``k``-th smallest value of a column, counted from 1.
+
+    Approximate quantiles with a proven rank error bracket it; counts then say
+    whether it is one of the two bounds, and else only the rows strictly between
+    them are left, about a fiftieth.
+    """
+    c, n = F.col(name), rows.count()
+    while n > 10_000:
+        at = k / n
+        lo, hi = rows.select(F.percentile_approx(c, F.array(F.lit(max(0.0, at - 0.01)), F.lit(min(1.0, at + 0.01))), 10_000)).first()[0]
+        counts = rows.agg(F.count_if(c < lo), F.count_if(c <= lo), F.count_if(c < hi), F.count_if(c <= hi)).first()
+        if counts[0] < k <= counts[1]:
+            return lo
+        if counts[2] < k <= counts[3]:
+            return hi
+        rows, k, n = rows.filter((c > lo) & (c < hi)), k - counts[1], counts[2] - counts[1]
+        if not 0 < k <= n:
+            raise RuntimeError("quantiles missed their error bound")
+    return rows.orderBy(c).limit(k).agg(F.max(c)).first()[0]
+
+
+def _first_rows(rows: DataFrame, names: list[str], k: int) -> Column:
+    """Whether a row is among the first ``k`` in the order of the named columns, the last of which is unique."""
+    c = F.col(names[0])
+    value = F.lit(_kth(rows, names[0], k))
+    same = rows.filter(c == value)
+    want = k - rows.filter(c < value).count()
+    if len(names) == 1 or same.count() == want:
+        return c <= value
+    return (c < value) | ((c == value) & _first_rows(same, names[1:], want))
 
 
 def gumbel_top(weighted: DataFrame, params: ResamplingParams) -> DataFrame:
-    """Adds gumbel_key and kept: exactly the rows with the largest keys, ties to the smaller doc_id.
+    """Adds, for the plain importance and for that at one length, the key with noise and whether the row is kept.
 
-    The noise is a function of doc_id and seed, so that retries and repeats
-    agree.  The cut is found between two approximate quantiles, and only the few
-    rows between them are ranked.
+    Exactly the rows with the largest keys are kept; ties go to the smaller
+    doc_id, and of rows that repeat one to any.  The noise is a function of
+    doc_id and seed, so that retries agree.
     """
     uniform = (F.pmod(F.xxhash64("doc_id", F.lit(params.seed)), F.lit(1 << 52)) + 0.5) / float(1 << 52)
-    rows = materialise(weighted.withColumn("gumbel_key", F.col("log_weight") + params.temperature * -F.log(-F.log(uniform))), "keys")
+    noise = params.temperature * -F.log(-F.log(uniform))
+    ordered = {"_plain": -(F.col("log_importance") + noise), "_even": -(F.col("log_weight") + noise), "_id": F.coalesce("doc_id", F.lit(-(1 << 63))), "_row": F.monotonically_increasing_id()}
+    rows = materialise(weighted.withColumns(ordered), "keys")
     n = rows.count()
     k = int(round(params.share * n))
-    if k in (0, n):
-        return rows.withColumn("kept", F.lit(k == n and n > 0))
-    at = 1 - k / n
-    lo, hi = rows.select(F.percentile_approx("gumbel_key", F.array(F.lit(max(0.0, at - 0.002)), F.lit(min(1.0, at + 0.002))), 10_000)).first()[0]
-    above = rows.filter(F.col("gumbel_key") > hi).count()
-    between = rows.filter(F.col("gumbel_key").between(lo, hi))
-    edge = between.orderBy(F.desc("gumbel_key"), "doc_id").limit(max(1, k - above)).agg(F.min("gumbel_key").alias("key"), F.max_by("doc_id", F.struct(-F.col("gumbel_key"), "doc_id")).alias("id")).first()
-    if k <= above or edge["key"] is None:  # the quantiles missed the cut: rank everything
-        edge = rows.orderBy(F.desc("gumbel_key"), "doc_id").limit(k).agg(F.min("gumbel_key").alias("key"), F.max_by("doc_id", F.struct(-F.col("gumbel_key"), "doc_id")).alias("id")).first()
-    kept = (F.col("gumbel_key") > edge["key"]) | ((F.col("gumbel_key") == edge["key"]) & (F.col("doc_id") <= edge["id"]))
-    return rows.withColumn("kept", F.coalesce(kept, F.lit(False)))
+    chosen = lambda key: _first_rows(rows, [key, "_id", "_row"], k) if 0 < k < n else F.lit(k == n and n > 0)
+    return rows.select(*weighted.columns, (-F.col("_even")).alias("gumbel_key"), chosen("_even").alias("kept"), (-F.col("_plain")).alias("importance_key"), chosen("_plain").alias("kept_by_importance"))
 
 
 def resample(docs: DataFrame, labels: DataFrame, params: ResamplingParams = ResamplingParams()) -> DataFrame:
-    """doc_id, n_grams, log_weight, score, gumbel_key, kept for every row of ``docs``.
+    """One row for every row of ``docs``: doc_id, n_grams, log_importance, log_weight, score, and the two samples.
 
+    ``kept_by_importance`` samples by ``log_importance``, the plain importance
+    weight; ``kept`` by ``log_weight``, which does not favour long documents.
     A null text counts as empty.  Without labelled rows all weights are those of
     a flat target.  Other columns are ignored.
     """
