@@ -59,6 +59,18 @@ def join_spread(rows: DataFrame, table: DataFrame, keys: list[str], count: str,
     return rows.join(F.broadcast(hot), keys).unionByName(rest.join(cold, keys))
 
 
+def only_possible(docs: DataFrame, ids: DataFrame, bits: int) -> DataFrame:
+    """Rows of ``docs`` whose rid may be among ``ids``: a broadcast bit table of fixed size.
+
+    The table has ``2**bits`` bits whatever the data; false positives are dropped
+    by the join that follows.
+    """
+    bit = lambda c: F.pmod(F.xxhash64(c), F.lit(1 << bits))
+    words = ids.select(bit("rid").alias("b")).groupBy((F.col("b") / 64).cast("int").alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(b % 64 as int))")).alias("mask"))
+    with_bit = docs.withColumn("_b", bit("rid"))
+    return with_bit.join(F.broadcast(words), (F.col("_b") / 64).cast("int") == F.col("word")).filter(F.expr("(shiftright(mask, cast(_b % 64 as int)) & 1L) = 1")).drop("_b", "word", "mask")
+
+
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 

@@ -1,17 +1,18 @@
 """Benchmark decontamination by template canonicalisation.
 
-Numbers, names and units are replaced by typed placeholders, windows of the
-resulting templates are looked up by hash, and where windows of an item are
-found in a document, both are aligned token by token: literal tokens must be
-equal, and a slot counts only if the item's value maps to one value of the
-document throughout.  So a question with other numbers or names is caught, and
-text that merely has the same shape is not.  Items without a window of enough
-literal words are looked up as a whole, by their values and by their template;
-there all tokens must agree.
-
-Texts are tokenised on UTF-8 bytes, many rows at a time.  The benchmark is
-shipped to the workers in blocks of a proven size, each of which meets all
-documents.
+Numbers, names and units are replaced by typed placeholders, and the windows of
+the resulting templates are joined by hash: those of the items with those of the
+documents.  Where a window of an item is found in a document, both are aligned
+token by token: literal tokens must be equal, and a slot counts only if the
+item's value maps to one value of the document throughout.  So a question with
+other numbers or names is caught, and text that merely has the same shape is
+not.  Items without a window of enough literal words are looked up as a whole,
+by their values and by their template; there all tokens must agree.
+
+Texts are tokenised on UTF-8 bytes, many rows at a time.  Before the join, a bit
+table of fixed size keeps back the windows of documents that no item can have.
+Neither the benchmark nor its windows are collected: pairs of document and item
+are verified one by one.
 """
 
 from __future__ import annotations
@@ -24,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from linkgraph.llm.common import mix, powers, row_slices, text_bytes
+from linkgraph.llm.common import as_long, materialise, mix, only_possible, powers, row_slices, text_bytes
 
 LITERAL, NUMBER, NAME, UNIT = range(4)
 
@@ -45,8 +46,8 @@ class DecontaminationParams:
     item_least: int = 4
     #: Share of an item's tokens that a document must hold in line.
     share_least: float = 0.5
-    #: Bytes of benchmark text shipped at a time.
-    block_bytes: int = 8 << 20
+    #: Bits of the table that keeps windows out of the join (bounded size).
+    filter_bits: int = 24
 
 
 _DIGIT = np.zeros(256, bool)
@@ -163,141 +164,170 @@ def whole_runs(codes: np.ndarray, rows: np.ndarray, width: int) -> tuple[np.ndar
     return at, mix((total[at + width] - total[at]) * powers(n, "down")[at] + np.uint64(width))
 
 
-def _matches(keys: np.ndarray, place: np.ndarray, value: np.ndarray) -> Iterator[tuple[int, int]]:
-    """Places whose value is a key, with the key's position; ``keys`` are sorted and may repeat."""
-    left = np.searchsorted(keys, value)
-    same = keys[np.minimum(left, len(keys) - 1)] == value
-    right = np.searchsorted(keys, value[same], side="right")
-    for p, a, b in zip(place[same], left[same], right, strict=True):
-        for k in range(a, b):
-            yield int(p), k
-
-
-class Benchmark:
-    """Template windows of a block of items, ready for look-up."""
-
-    def __init__(self, items: list[tuple[int, str]], params: DecontaminationParams):
-        self.params = params
-        self.ids = [i for i, _ in items]
-        data, offsets = text_bytes(pa.array([t or "" for _, t in items], pa.large_string()))
-        tokens = template_tokens(data, offsets)
-        ends = np.cumsum(tokens.rows)
-        self.begin = ends - tokens.rows
-        self.tokens, self.size = tokens, tokens.rows
-        row = np.repeat(np.arange(len(items)), tokens.rows)
-        #: Width to sorted hashes, with the item and token of each.
-        self.tables: dict[int, tuple[np.ndarray, np.ndarray]] = {}
-        for width in sorted({min(int(s), params.width) for s in self.size if s >= params.item_least}):
-            at, value = windows(tokens, width, min(params.literal_least, width - 1))
-            fits = np.minimum(self.size[row[at]], params.width) == width
-            at, value = at[fits], value[fits]
-            # an item's first word may be taken for a name where no sentence begins
-            begins = at[(at == self.begin[row[at]]) & (tokens.kind[at] == LITERAL)]
+#: What a key of an item or a document stands for.
+WINDOW, VALUES, TEMPLATE = range(3)
+
+
+def _key(hashes: np.ndarray, mode: int, width: int) -> np.ndarray:
+    return mix(hashes * np.uint64(3) + np.uint64(mode * 1_000_003 + width))
+
+
+def item_keys(tokens: Tokens, params: DecontaminationParams) -> Iterator[tuple[int, int, int, int]]:
+    """Mode, width, key and place of the first token of each key of an item."""
+    size = len(tokens.kind)
+    safe = False
+    if size >= params.item_least:
+        width = min(size, params.width)
+        least = min(params.literal_least, width - 1)
+        at, value = windows(tokens, width, least)
+        for p, k in zip(at, _key(value, WINDOW, width), strict=True):
+            safe |= bool(p)
+            yield WINDOW, width, int(k), int(p)
+        if tokens.kind[0] == LITERAL:  # the first word may be taken for a name where no sentence begins
             other = Tokens(tokens.template.copy(), tokens.value, tokens.kind.copy(), tokens.rows)
-            other.template[begins], other.kind[begins] = _SLOT_HASHES[NAME], NAME
-            at2, value2 = windows(other, width, min(params.literal_least, width - 1))
-            more = np.isin(at2, begins)
-            at, value = np.append(at, at2[more]), np.append(value, value2[more])
-            order = np.argsort(value, kind="stable")
-            self.tables[width] = value[order], at[order]
-        self.row = row
-        self._index_whole()
-
-    def _index_whole(self) -> None:
-        """Values and templates of the items that windows may miss: short ones, and those without a window beyond the first word."""
-        tokens, params = self.tokens, self.params
-        safe = {int(self.row[a]) for _, at in self.tables.values() for a in at if a != self.begin[self.row[a]]}
-        values: dict[int, list[tuple[int, int]]] = {}
-        templates: dict[int, list[tuple[int, int]]] = {}
-
-        def add(index, codes: np.ndarray, item: int) -> None:
-            index.setdefault(len(codes), []).append((int(whole_runs(codes, np.array([len(codes)]), len(codes))[1][0]), item))
-
-        for item, size in enumerate(self.size):
-            if not size or item in safe:
-                continue
-            lo, hi = int(self.begin[item]), int(self.begin[item] + size)
-            add(values, tokens.value[lo:hi], item)
-            literal = tokens.kind[lo:hi] == LITERAL
-            if size >= params.item_least and literal.any():
-                add(templates, tokens.template[lo:hi], item)
-                if literal[0] and literal[1:].any():
-                    add(templates, np.append(_SLOT_HASHES[NAME], tokens.template[lo + 1 : hi]), item)
-        ordered = lambda index: {w: (np.array([h for h, _ in sorted(x)], np.uint64), [i for _, i in sorted(x)]) for w, x in index.items()}
-        self.values, self.templates = ordered(values), ordered(templates)
-
-    def _whole(self, tokens: Tokens) -> Iterator[tuple[int, int]]:
-        """Rows and the items that they hold as a whole."""
-        if not len(tokens.value):
-            return
-        doc_end = np.cumsum(tokens.rows)
-        doc_begin = doc_end - tokens.rows
-        doc_row = np.repeat(np.arange(len(tokens.rows)), tokens.rows)
-        for width, (keys, items) in self.values.items():
-            for p, k in _matches(keys, *whole_runs(tokens.value, tokens.rows, width)):
-                row = int(doc_row[p])
-                if width >= self.params.item_least or tokens.rows[row] == width:
-                    yield row, items[k]
-        for width, (keys, items) in self.templates.items():
-            for p, k in _matches(keys, *whole_runs(tokens.template, tokens.rows, width)):
-                row, begin = int(doc_row[p]), int(self.begin[items[k]])
-                good = self._in_line(tokens, items[k], p - begin, int(doc_begin[row]), int(doc_end[row]))
-                if len(good) == width or (len(good) == width - 1 and good[0] == begin + 1):
-                    yield row, items[k]
-
-    def hits(self, tokens: Tokens) -> dict[int, dict[int, float]]:
-        """Row to item to the share of the item's tokens found in line."""
-        lines: dict[int, set[tuple[int, int]]] = {}
-        doc_row = None
-        for width, (keys, at) in self.tables.items():
-            if not len(keys):
-                continue
-            place, value = windows(tokens, width, min(self.params.literal_least, width - 1))
-            if doc_row is None:
-                doc_row = np.repeat(np.arange(len(tokens.rows)), tokens.rows)
-            for p, k in _matches(keys, place, value):
-                lines.setdefault(int(doc_row[p]), set()).add((int(self.row[at[k]]), int(p - at[k])))
-        found: dict[int, dict[int, float]] = {}
-        if lines:
-            doc_end = np.cumsum(tokens.rows)
-            doc_begin = doc_end - tokens.rows
-            for row, pairs in lines.items():
-                by_item: dict[int, set[int]] = {}
-                for item, shift in sorted(pairs):
-                    by_item.setdefault(item, set()).update(self._in_line(tokens, item, shift, int(doc_begin[row]), int(doc_end[row])))
-                shares = {item: len(good) / int(self.size[item]) for item, good in by_item.items()}
-                shares = {i: s for i, s in shares.items() if s >= self.params.share_least}
-                if shares:
-                    found[row] = shares
-        for row, item in self._whole(tokens):
-            found.setdefault(row, {})[item] = 1.0
-        return found
-
-    def _in_line(self, tokens: Tokens, item: int, shift: int, lo: int, hi: int) -> np.ndarray:
-        """Tokens of the item that the document holds at this shift, slots being consistent."""
-        begin, end = int(self.begin[item]), int(self.begin[item] + self.size[item])
-        a, b = max(begin, lo - shift), min(end, hi - shift)
-        mine, theirs = slice(a, b), slice(a + shift, b + shift)
-        kind = self.tokens.kind[mine]
-        equal = (self.tokens.template[mine] == tokens.template[theirs]) & (kind == tokens.kind[theirs])
-        equal |= (kind == LITERAL) & (self.tokens.value[mine] == tokens.value[theirs])
-        slots = np.flatnonzero(equal & (kind != LITERAL))
-        maps: dict[tuple[int, int], int] = {}
-        for k in slots:
-            value = int(tokens.value[theirs.start + k])
-            if maps.setdefault((int(kind[k]), int(self.tokens.value[a + k])), value) != value:
-                equal[k] = False
-        return np.flatnonzero(equal) + a
-
-
-def _blocks(benchmark: DataFrame, params: DecontaminationParams) -> Iterator[list[tuple[int, str]]]:
-    """The benchmark's items in blocks of about ``block_bytes``."""
-    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.coalesce("text", F.lit("")).alias("text")).filter("item_id is not null")
-    total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    count = max(1, -(-int(total) // params.block_bytes))
-    for k in range(count):
-        block = items if count == 1 else items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(count)) == k)
-        yield [(r[0], r[1]) for r in block.orderBy("item_id", "text").collect()]
+            other.template[0], other.kind[0] = _SLOT_HASHES[NAME], NAME
+            at, value = windows(other, width, least)
+            for k in _key(value[at == 0], WINDOW, width):
+                yield WINDOW, width, int(k), 0
+    if not size or safe:
+        return
+    # windows may miss short items, and those whose only window has the first word
+    rows = np.array([size])
+    yield VALUES, size, int(_key(whole_runs(tokens.value, rows, size)[1], VALUES, size)[0]), 0
+    literal = tokens.kind == LITERAL
+    if size >= params.item_least and literal.any():
+        yield TEMPLATE, size, int(_key(whole_runs(tokens.template, rows, size)[1], TEMPLATE, size)[0]), 0
+        if literal[0] and literal[1:].any():
+            named = np.append(_SLOT_HASHES[NAME], tokens.template[1:])
+            yield TEMPLATE, size, int(_key(whole_runs(named, rows, size)[1], TEMPLATE, size)[0]), 0
+
+
+def _item_keys(params: DecontaminationParams):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names, kinds = ["iid", "mode", "width", "key", "at"], [pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int32()]
+        for batch in batches:
+            data, offsets = text_bytes(batch.column("text"))
+            for r, iid in enumerate(batch.column("iid").to_pylist()):
+                rows = list(item_keys(template_tokens(data, offsets[r : r + 2]), params))
+                mode, width, key, at = zip(*rows, strict=True) if rows else ((),) * 4
+                key = np.array(key, np.uint64).view(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(([iid] * len(rows), mode, width, key, at), kinds, strict=True)], names=names)
+
+    return run
+
+
+def _doc_keys(params: DecontaminationParams, widths: list[tuple[int, int]], bits: np.ndarray):
+    """Keys of the documents' windows that the bit table lets through, with their places."""
+    mask = np.uint64((1 << params.filter_bits) - 1)
+
+    def keys_of(tokens: Tokens) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        for mode, width in widths:
+            if mode == WINDOW:
+                at, value = windows(tokens, width, min(params.literal_least, width - 1))
+            else:
+                at, value = whole_runs(tokens.value if mode == VALUES else tokens.template, tokens.rows, width)
+            key = _key(value, mode, width)
+            slot = key & mask
+            some = (bits[(slot >> np.uint64(6)).astype(np.int64)] >> (slot & np.uint64(63))) & np.uint64(1) == 1
+            yield at[some], key[some]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            data, offsets = text_bytes(batch.column("text"))
+            ids = batch.column("rid").to_numpy()
+            for lo, hi in row_slices(offsets, 1 << 20):
+                tokens = template_tokens(data, offsets[lo : hi + 1])
+                ends = np.cumsum(tokens.rows)
+                for at, key in keys_of(tokens):
+                    if len(at):
+                        row = np.searchsorted(ends, at, side="right")
+                        place = at - (ends - tokens.rows)[row]
+                        yield pa.RecordBatch.from_arrays([pa.array(ids[lo + row]), pa.array(as_long(key)), pa.array(place.astype(np.int32))], names=["rid", "key", "place"])
+
+    return run
+
+
+def in_line(item: Tokens, doc: Tokens, shift: int) -> np.ndarray:
+    """Tokens of the item that the document holds at this shift, slots being consistent."""
+    a, b = max(0, -shift), min(len(item.kind), len(doc.kind) - shift)
+    mine, theirs = slice(a, b), slice(a + shift, b + shift)
+    kind = item.kind[mine]
+    equal = (item.template[mine] == doc.template[theirs]) & (kind == doc.kind[theirs])
+    equal |= (kind == LITERAL) & (item.value[mine] == doc.value[theirs])
+    maps: dict[tuple[int, int], int] = {}
+    for k in np.flatnonzero(equal & (kind != LITERAL)):
+        value = int(doc.value[theirs.start + k])
+        if maps.setdefault((int(kind[k]), int(item.value[a + k])), value) != value:
+            equal[k] = False
+    return np.flatnonzero(equal) + a
+
+
+def share_of(item: Tokens, doc: Tokens, lines: list[tuple[int, int]], params: DecontaminationParams) -> float:
+    """Share of an item found in a document, given (mode, shift) of its keys; 0 below the least share."""
+    size, held = len(item.kind), set()
+    for mode, shift in lines:
+        if mode == WINDOW:
+            held.update(in_line(item, doc, shift).tolist())
+        elif mode == VALUES:
+            # shorter items count only where they are the whole row
+            whole = 0 <= shift <= len(doc.value) - size and bool((item.value == doc.value[shift : shift + size]).all())
+            if whole and (size >= params.item_least or len(doc.kind) == size):
+                return 1.0
+        else:
+            good = in_line(item, doc, shift)
+            if len(good) == size or (len(good) == size - 1 and good[0] == 1):
+                return 1.0
+    share = len(held) / size if size else 0.0
+    return share if share >= params.share_least else 0.0
+
+
+def _verified(params: DecontaminationParams):
+    """Pairs of a document and an item, ordered by document, to the share found."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, doc = None, None
+        items: dict[int, Tokens] = {}
+        for batch in batches:
+            texts, ends = text_bytes(batch.column("text"))
+            asked, asked_ends = text_bytes(batch.column("item"))
+            rids, iids = batch.column("rid").to_pylist(), batch.column("iid").to_pylist()
+            shares = []
+            for r, lines in enumerate(batch.column("lines").to_pylist()):
+                if held != rids[r]:
+                    held, doc = rids[r], template_tokens(texts, ends[r : r + 2])
+                if iids[r] not in items:
+                    if len(items) >= 1000:
+                        items.clear()
+                    items[iids[r]] = template_tokens(asked, asked_ends[r : r + 2])
+                shares.append(share_of(items[iids[r]], doc, [(x["mode"], x["shift"]) for x in lines], params))
+            yield pa.RecordBatch.from_arrays([batch.column("rid"), batch.column("item_id"), pa.array(shares, pa.float64())], names=["rid", "item_id", "share"])
+
+    return run
+
+
+def _bit_table(index: DataFrame, bits: int) -> np.ndarray:
+    """Which low bits of keys occur: ``2**bits`` bits, however many the keys."""
+    slot = F.expr(f"key & {(1 << bits) - 1}L")
+    words = index.select(slot.alias("b")).groupBy(F.expr("shiftright(b, 6)").alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(b & 63L as int))")).alias("mask"))
+    table = np.zeros(1 << (bits - 6), np.int64)
+    for word, mask in words.collect():
+        table[word] = mask
+    return table.view(np.uint64)
+
+
+def found_items(docs: DataFrame, benchmark: DataFrame, params: DecontaminationParams = DecontaminationParams()) -> DataFrame:
+    """``(rid, item_id, share)``: the items that a row of ``docs`` (rid, text) holds."""
+    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.coalesce("text", F.lit("")).alias("item")).filter("item_id is not null").distinct()
+    items = items.withColumn("iid", F.xxhash64("item_id", "item"))
+    index = materialise(items.select("iid", F.col("item").alias("text")).mapInArrow(_item_keys(params), "iid long, mode int, width int, key long, at int"), "item_keys")
+    # as many as windows have widths, and lengths those items that have no window
+    widths = [(r[0], r[1]) for r in index.select("mode", "width").distinct().orderBy("mode", "width").collect()]
+    keys = docs.mapInArrow(_doc_keys(params, widths, _bit_table(index, params.filter_bits)), "rid long, key long, place int")
+    met = keys.join(index.select("iid", "mode", "key", "at").distinct(), "key").select("rid", "iid", F.struct("mode", (F.col("place") - F.col("at")).alias("shift")).alias("line")).distinct()
+    pairs = materialise(met.groupBy("rid", "iid").agg(F.collect_list("line").alias("lines")), "item_pairs")
+    texts = only_possible(docs, pairs.select("rid"), params.filter_bits).dropDuplicates(["rid"])
+    both = pairs.join(items, "iid").join(texts, "rid").select("rid", "iid", "item_id", "lines", "item", "text").sortWithinPartitions("rid")
+    return both.mapInArrow(_verified(params), "rid long, item_id long, share double").filter("share > 0")
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, params: DecontaminationParams = DecontaminationParams()) -> DataFrame:
@@ -305,41 +335,26 @@ def contamination(docs: DataFrame, benchmark: DataFrame, params: Decontamination
 
     ``items`` lists the found item ids, joined by commas in order.  Null or
     empty texts hold nothing; an empty benchmark contaminates nothing; repeated
-    items are found once.  With more than one block of the benchmark, rows that
-    repeat a doc_id are counted together.  Other columns are ignored.
+    items are found once; rows that repeat a doc_id, null ones included, are
+    judged each by its own text.  Other columns are ignored.
     """
-    spark: SparkSession = docs.sparkSession
-    parts = []
-    for block in _blocks(benchmark, params):
-        shipped = spark.sparkContext.broadcast(block)
-
-        def run(batches: Iterator[pa.RecordBatch], shipped=shipped) -> Iterator[pa.RecordBatch]:
-            items = Benchmark(shipped.value, params)
-            for batch in batches:
-                data, offsets = text_bytes(batch.column("text"))
-                ids = batch.column("doc_id").cast(pa.int64())
-                for lo, hi in row_slices(offsets, 1 << 20):
-                    got = items.hits(template_tokens(data, offsets[lo : hi + 1]))
-                    found = [{items.ids[i]: s for i, s in got.get(r, {}).items()} for r in range(hi - lo)]
-                    yield pa.RecordBatch.from_arrays(
-                        [ids.slice(lo, hi - lo), pa.array([sorted(f) for f in found], pa.list_(pa.int64())), pa.array([max(f.values(), default=0.0) for f in found], pa.float64())], names=["doc_id", "items", "share"]
-                    )
-
-        parts.append(docs.select("doc_id", "text").mapInArrow(run, "doc_id long, items array<long>, share double"))
-    out = parts[0]
-    for part in parts[1:]:
-        out = out.union(part)
-    if len(parts) > 1:
-        out = out.groupBy("doc_id").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"), F.max("share").alias("share"))
+    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("rid", F.xxhash64("doc_id", "text"))
+    found = found_items(keyed.select("rid", "text"), benchmark, params).groupBy("rid").agg(F.array_sort(F.collect_set("item_id")).alias("items"), F.max("share").alias("share"))
+    out = keyed.select("doc_id", "rid").join(found, "rid", "left")
     return out.select(
-        "doc_id", (F.size("items") > 0).alias("contaminated"), F.size("items").cast("long").alias("n_items"), F.round("share", 6).alias("best_share"), F.array_join(F.col("items").cast("array<string>"), ",").alias("items")
+        "doc_id",
+        F.col("items").isNotNull().alias("contaminated"),
+        F.coalesce(F.size("items"), F.lit(0)).cast("long").alias("n_items"),
+        F.round(F.coalesce("share", F.lit(0.0)), 6).alias("best_share"),
+        F.array_join(F.coalesce("items", F.expr("cast(array() as array<long>)")).cast("array<string>"), ",").alias("items"),
     )
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, params: DecontaminationParams = DecontaminationParams()) -> DataFrame:
-    """``docs`` without the rows that hold an item of the benchmark."""
-    bad = contamination(docs, benchmark, params).filter("contaminated").select("doc_id").distinct()
-    return docs.join(bad, "doc_id", "left_anti")
+    """``docs`` without the rows that hold an item of the benchmark; other columns stay."""
+    rid = F.xxhash64(F.col("doc_id").cast("long"), F.coalesce("text", F.lit("")))
+    bad = found_items(docs.select(rid.alias("rid"), "text"), benchmark, params).select(F.col("rid").alias("_found")).distinct()
+    return docs.join(bad, rid == F.col("_found"), "left_anti")
 
 
 def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from linkgraph.llm.common import as_long, join_spread, materialise, mix, powers, row_slices, text_bytes
+from linkgraph.llm.common import as_long, join_spread, materialise, mix, only_possible, powers, row_slices, text_bytes
 from linkgraph.llm.shingles import word_hashes
 from linkgraph.llm.suffix_sort import deep_shallow
 
@@ -271,18 +271,6 @@ def _as_windows(rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["anchor", "run", "left", "digest", "c"])
 
 
-def _only_possible(docs: DataFrame, ids: DataFrame, bits: int) -> DataFrame:
-    """Rows of ``docs`` whose rid may be among ``ids``: a broadcast bit table of fixed size.
-
-    The table has ``2**bits`` bits whatever the data; false positives are dropped
-    by the join that follows.
-    """
-    bit = lambda c: F.pmod(F.xxhash64(c), F.lit(1 << bits))
-    words = ids.select(bit("rid").alias("b")).groupBy((F.col("b") / 64).cast("int").alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(b % 64 as int))")).alias("mask"))
-    with_bit = docs.withColumn("_b", bit("rid"))
-    return with_bit.join(F.broadcast(words), (F.col("_b") / 64).cast("int") == F.col("word")).filter(F.expr("(shiftright(mask, cast(_b % 64 as int)) & 1L) = 1")).drop("_b", "word", "mask")
-
-
 def _remove(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         data, offsets = text_bytes(batch.column("text"))
@@ -327,7 +315,7 @@ def repeated_spans(docs: DataFrame, params: SuffixDedupParams = SuffixDedupParam
         .union(join_spread(mixed, distinct.filter("c > 1").select("anchor", "run", "c"), ["anchor", "run"], "c", n_runs).select("rid", F.col("p0").alias("s"), (F.col("p1") + length).alias("e")))
     )
     asked = distinct.groupBy("rid").agg(F.collect_list(F.struct("anchor", "run", "p0", "p1", "a", (F.col("p1") + length).alias("stop"), "c")).alias("asked"))
-    texts = _only_possible(docs, distinct.select("rid"), params.filter_bits).dropDuplicates(["rid"])
+    texts = only_possible(docs, distinct.select("rid"), params.filter_bits).dropDuplicates(["rid"])
     contents = texts.join(asked, "rid").select("text", "asked").mapInArrow(_contents(params), "anchor long, run long, before binary, after binary, near int, c long")
     sizes = distinct.groupBy("anchor").agg(F.count(F.lit(1)).alias("m"))
     big = materialise(sizes.filter(F.col("m") > params.group_max).select("anchor"), "big")
@@ -370,7 +358,7 @@ def suffix_dedup(docs: DataFrame, params: SuffixDedupParams = SuffixDedupParams(
     body = keyed.filter(F.octet_length("text") >= params.length).select("rid", "text")
     spans = repeated_spans(body, params).groupBy("rid").agg(F.collect_set(F.struct("s", "e")).alias("spans"))
     spans = materialise(spans, "doc_spans")
-    cut = _only_possible(body, spans, params.filter_bits).dropDuplicates(["rid"]).join(spans, "rid").select("rid", "text", "spans")
+    cut = only_possible(body, spans, params.filter_bits).dropDuplicates(["rid"]).join(spans, "rid").select("rid", "text", "spans")
     done = cut.mapInArrow(_remove, "rid long, n_removed long, n_spans long, kept_sha256 string, kept_text string")
     done = materialise(done if with_text else done.drop("kept_text"), "removed")
     own = [F.col("text")] if with_text else []
