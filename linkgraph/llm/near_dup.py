@@ -23,10 +23,10 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from linkgraph.llm.common import as_long, materialise, mix, row_slices, text_bytes
+from linkgraph.llm.common import as_long, join_spread, materialise, mix, row_slices, text_bytes
 from linkgraph.llm.components import connected_components
 from linkgraph.llm.shingles import WIDTH, shingle_sets
 
@@ -331,22 +331,12 @@ def _merged(label: DataFrame, links: DataFrame) -> DataFrame:
     )
 
 
-def near_duplicates(docs: DataFrame, params: NearDupParams = NearDupParams()) -> DataFrame:
-    """One row per row of ``docs``: doc_id, n_shingles, component_id, kept.
-
-    ``component_id`` is the smallest doc_id reachable over confirmed links and
-    ``kept`` says whether it is the document's own.  Documents without words
-    (null or empty text) have no shingles and are linked with nothing.  Rows
-    that repeat a doc_id give one row each; a null doc_id is passed through with
-    a null component and is not kept apart from others.  Columns besides doc_id
-    and text are ignored.
-    """
-    spark = docs.sparkSession
-    base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+def _components(base: DataFrame, params: NearDupParams) -> DataFrame:
+    """(doc_id, n_shingles, component) for each row of ``base`` (doc_id, text), where equal ids have equal texts."""
     sig = materialise(signatures(base, params), "signatures")
     # Texts with equal sets are one class; its smallest document stands for it.
     by_set = ["fp_a", "fp_b", "n_shingles"]
-    classes = sig.filter("n_shingles > 0 and doc_id is not null").groupBy(*by_set).agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"))
+    classes = sig.filter("n_shingles > 0").groupBy(*by_set).agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"))
     shared = classes.filter("copies > 1").select(*by_set, "rep")
     members = materialise(
         sig.select("doc_id", *by_set)
@@ -374,14 +364,47 @@ def near_duplicates(docs: DataFrame, params: NearDupParams = NearDupParams()) ->
         checked = materialise(confirm(pairs, base, params), "checked")
         label = _merged(label, checked.filter("linked").select("x", "y"))
     out = members.join(label, F.col("rep") == F.col("node"), "left")
-    component = F.coalesce("component", "rep")
-    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(False)).alias("kept"))
+    return out.select("doc_id", "n_shingles", F.coalesce("component", "rep").alias("component"))
+
+
+def _keyed(docs: DataFrame) -> Column:
+    """A key of a row's id and text: rows that repeat an id with another text are documents of their own."""
+    return F.xxhash64(F.col("doc_id").cast("long"), F.col("text"))
+
+
+def near_duplicates(docs: DataFrame, params: NearDupParams = NearDupParams()) -> DataFrame:
+    """One row per row of ``docs``: doc_id, n_shingles, component_id, kept.
+
+    ``component_id`` is the smallest doc_id reachable over confirmed links and
+    ``kept`` says whether it is the document's own.  Documents without words
+    (null or empty text) have no shingles and are linked with nothing.  Rows
+    that repeat a doc_id give one row each, judged by its own text.  A null
+    doc_id links others as any does, but names no component unless all ids of it
+    are null; then the component is null and all its rows are kept.  Columns
+    besides doc_id and text are ignored.
+    """
+    return _judged(docs, params).select("doc_id", "n_shingles", "component_id", "kept")
+
+
+def _judged(docs: DataFrame, params: NearDupParams) -> DataFrame:
+    """``near_duplicates`` with the key of each row."""
+    base = docs.select(_keyed(docs).alias("rid"), F.col("doc_id").cast("long").alias("doc_id"), "text")
+    found = _components(base.select(F.col("rid").alias("doc_id"), "text"), params).withColumnRenamed("doc_id", "rid").dropDuplicates(["rid"])
+    rows = materialise(base.select("rid", "doc_id").join(found, "rid"), "judged")
+    several = materialise(rows.groupBy("component").agg(F.min("doc_id").alias("component_id"), F.count(F.lit(1)).alias("size")).filter("size > 1"), "several")
+    alone = rows.join(several.select("component"), "component", "left_anti").withColumn("component_id", F.col("doc_id"))
+    out = join_spread(rows, several, ["component"], "size", rows.count()).drop("size").unionByName(alone)
+    return out.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
 def keep_first(docs: DataFrame, params: NearDupParams = NearDupParams()) -> DataFrame:
-    """``docs`` with one document of each near-duplicate group, the smallest doc_id."""
-    verdict = near_duplicates(docs, params).filter("kept").select("doc_id").distinct()
-    return docs.join(verdict, "doc_id", "left_semi")
+    """``docs`` with one document of each near-duplicate group, the smallest doc_id.
+
+    Rows that repeat this doc_id, and rows of null doc_id where their group has
+    no other, stay as well.  Other columns stay as they are.
+    """
+    verdict = _judged(docs, params).filter("kept").select(F.col("rid").alias("_kept")).distinct()
+    return docs.join(verdict, _keyed(docs) == F.col("_kept"), "left_semi")
 
 
 def op9_near_dup(spark, sf_dir: str) -> DataFrame:
