@@ -102,7 +102,7 @@ def weights(docs: DataFrame, ratio: np.ndarray, params: ResamplingParams) -> Dat
             ids = batch.column("doc_id").cast(pa.int64())
             for lo, hi in row_slices(offsets):
                 bucket, row = hashed_ngrams(data, offsets[lo : hi + 1], params)
-                total = np.bincount(row, weights=table[bucket], minlength=hi - lo)
+                total = np.bincount(row, weights=table[bucket], minlength=hi - lo).astype(np.float64)
                 count = np.bincount(row, minlength=hi - lo)
                 mean = total / np.maximum(count, 1)
                 columns = [ids.slice(lo, hi - lo), pa.array(count.astype(np.int64)), pa.array(total), pa.array(mean * params.length), pa.array(1 / (1 + np.exp(-mean)))]
