@@ -21,12 +21,14 @@ def name_frequencies(spark: SparkSession) -> DataFrame:
 def scores(prof: DataFrame, generic: DataFrame, p: Params = Params()) -> DataFrame:
     """(cid, s_miss, s_ling, s_variety, s_freq): four indicators of a column's importance.
 
-    A name is as generic as its most frequent part among the top names.
+    A name is as generic as its most frequent part among the top names.  A part
+    counts if it is such a name, or one after at least three other letters (as in
+    ``custkey``; an ``update`` is no date).
     """
     top = generic.orderBy(F.desc("freq"), "name").limit(p.freq_top)
     best = top.agg(F.max("freq").alias("best"))
     parts = prof.select("cid", F.explode(F.split(F.lower("name"), "[^a-z0-9]+")).alias("part"))
-    freq = parts.join(F.broadcast(top), F.col("part").endswith(F.col("name"))).groupBy("cid").agg(F.max("freq").alias("freq"))
+    freq = parts.join(F.broadcast(top), (F.col("part") == F.col("name")) | (F.col("part").endswith(F.col("name")) & (F.length("part") >= F.length("name") + 3))).groupBy("cid").agg(F.max("freq").alias("freq"))
     out = prof.join(F.broadcast(freq), "cid", "left").crossJoin(F.broadcast(best))  # one row
     return out.select(
         "cid",

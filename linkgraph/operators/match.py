@@ -6,8 +6,8 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from linkgraph.functions.similarity import cosine, name_similarity
-from linkgraph.operators.embed import cosine_batches
-from linkgraph.operators.tokmerge import hyperplane_keys
+from linkgraph.operators.embed import all_scores, cosine_batches
+from linkgraph.operators.tokmerge import hyperplane_keys, lsh_plan
 
 
 def cosine_pairs(pairs: DataFrame, left: DataFrame, right: DataFrame) -> DataFrame:
@@ -43,8 +43,10 @@ def candidates_shared_token(rid_tok: DataFrame, max_df: int) -> DataFrame:
     return left.join(right, "tok").select("left_key", "right_key").distinct()
 
 
-def candidates_lsh(left: DataFrame, right: DataFrame, dim: int, bands: int = 16, rows: int = 8, seed: int = 5) -> DataFrame:
-    """Pairs whose vectors agree in a band of hyperplane signs."""
+def candidates_lsh(left: DataFrame, right: DataFrame, dim: int, bands: int | None = None, rows: int | None = None, seed: int = 5, cosine: float = 0.7) -> DataFrame:
+    """Pairs whose vectors agree in a band of hyperplane signs; bands and rows follow from the number of vectors and the cosine."""
+    if bands is None or rows is None:
+        bands, rows = lsh_plan(max(left.count(), right.count()), cosine)
     a = hyperplane_keys(left, "key", dim, bands, rows, seed).select("band", "code", F.col("key").alias("left_key"))
     b = hyperplane_keys(right, "key", dim, bands, rows, seed).select("band", "code", F.col("key").alias("right_key"))
     return a.join(b, ["band", "code"]).select("left_key", "right_key").distinct()

@@ -58,10 +58,16 @@ def infer_classes(df: DataFrame, share: float = 0.95) -> DataFrame:
 
 
 def canonical(field: T.StructField) -> Column:
-    """A value as text: decimals to four places without trailing zeros, strings trimmed and lower."""
+    """A value as text: strings trimmed and lower, fractions without trailing zeros.
+
+    A fraction that four decimals do not give back whole keeps its shortest text,
+    so that no two values share one.
+    """
     c = F.col(f"`{field.name}`")
     if isinstance(field.dataType, _FRACTION):
-        return F.regexp_replace(c.cast("decimal(38,4)").cast("string"), r"\.?0+$", "")
+        short = c.try_cast("decimal(38,4)")
+        plain = F.regexp_replace(short.cast("string"), r"\.?0+$", "")
+        return F.when(short.cast(field.dataType) == c, plain).otherwise(F.lower(c.cast("string")))
     if isinstance(field.dataType, T.StringType):
         return F.lower(F.trim(F.regexp_replace(c, r"\s+", " ")))
     if isinstance(field.dataType, (T.ArrayType, T.MapType, T.StructType)):

@@ -2,23 +2,27 @@
 
 from __future__ import annotations
 
-import tempfile
+import math
+from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from linkgraph.functions.draws import u52
 from linkgraph.functions.similarity import cosine
 from linkgraph.operators.colsim import hashed_encode
+from linkgraph.operators.embed import all_scores
 from linkgraph.params import Params
+from linkgraph.sources.shared import shared_folder
 
 
 def settle(df: DataFrame) -> DataFrame:
     """Cuts the lineage with a reliable checkpoint in the cluster's shared folder."""
     sc = df.sparkSession.sparkContext
     if sc.getCheckpointDir() is None:
-        where = df.sparkSession.conf.get("spark.checkpoint.dir", None)
-        sc.setCheckpointDir(where or "file://" + tempfile.mkdtemp(prefix="linkgraph-checkpoint-"))
+        sc.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint()
 
 
@@ -37,44 +41,71 @@ def _with_vectors(pairs: DataFrame, vecs: DataFrame, tau: float) -> DataFrame:
     return out.select("a", "b", cosine(F.col("va"), F.col("vb")).alias("sim")).filter(F.col("sim") >= tau)
 
 
-def similar_tokens_exact(vecs: DataFrame, tau: float, limit: int = 20_000) -> DataFrame:
-    """All similar pairs by comparing all; for vocabularies up to ``limit``, as a control."""
+def similar_tokens_exact(vecs: DataFrame, tau: float, dim: int = 64, limit: int = 20_000) -> DataFrame:
+    """All similar pairs by comparing all, a block at a time; for vocabularies up to ``limit``, as a control."""
     if vecs.count() > limit:
         raise ValueError(f"more than {limit} tokens: use similar_tokens_lsh")
-    a, b = vecs.select(F.col("tok").alias("a"), F.col("vec").alias("va")), vecs.select(F.col("tok").alias("b"), F.col("vec").alias("vb"))
-    return a.join(F.broadcast(b), F.col("a") < F.col("b")).select("a", "b", cosine(F.col("va"), F.col("vb")).alias("sim")).filter(F.col("sim") >= tau)
+    named = vecs.select(F.col("tok").alias("key"), "vec")
+    return all_scores(named, named, tau, dim).filter("left_key < right_key").toDF("a", "b", "sim")
 
 
-def hyperplane_keys(vecs: DataFrame, key: str, dim: int, bands: int, rows: int, seed: int) -> DataFrame:
-    """(key, band, code): signs of projections on pseudo-random directions, in bands."""
-    import numpy as np
+def lsh_plan(n: int, cosine: float, recall: float = 0.99, per_code: int = 64) -> tuple[int, int]:
+    """Bands and rows for ``n`` vectors: codes grow with n, and bands make up for them.
 
-    planes = np.random.default_rng(seed).normal(size=(bands * rows, dim))
-    flat = [F.array(*map(F.lit, map(float, row))) for row in planes]
-    sign = lambda plane: F.when(F.aggregate(F.zip_with("vec", plane, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x) >= 0, "1").otherwise("0")
-    coded = vecs.select(key, F.array(*[F.concat(*[sign(flat[b * rows + r]) for r in range(rows)]) for b in range(bands)]).alias("codes"))
-    return coded.select(key, F.posexplode("codes").alias("band", "code"))
+    A code holds about ``per_code`` vectors of random directions, and a pair at
+    the cosine agrees in some band with the chance ``recall``.
+    """
+    rows = max(4, math.ceil(math.log2(max(1.0, n / per_code))))
+    one = (1 - math.acos(cosine) / math.pi) ** rows
+    return max(1, math.ceil(math.log(1 - recall) / math.log(1 - one))), rows
 
 
-def similar_tokens_lsh(vecs: DataFrame, tau: float, dim: int = 64, bands: int = 16, rows: int = 6, seed: int = 7) -> DataFrame:
-    """Similar pairs among tokens that agree in a band of hyperplane signs; confirmed exactly."""
+def hyperplane_keys(vecs: DataFrame, key: str, dim: int, bands: int, rows: int, seed: int) -> DataFrame:
+    """(key, band, code): signs of projections on pseudo-random directions, in bands of at most 62 rows."""
+    planes = np.random.default_rng(seed).normal(size=(dim, bands * rows))
+    bits = 1 << np.arange(rows, dtype=np.int64)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for lo in range(0, batch.num_rows, 1024):
+                part = batch.slice(lo, 1024)
+                n = part.num_rows
+                # a list column of one length
+                values = part.column("vec").flatten().to_numpy(zero_copy_only=False).reshape(n, dim)
+                signs = (values @ planes >= 0).reshape(n, bands, rows)
+                codes = (signs * bits).sum(axis=2)
+                keys = part.column(key).take(pa.array(np.repeat(np.arange(n), bands)))
+                yield pa.RecordBatch.from_arrays([keys, pa.array(np.tile(np.arange(bands, dtype=np.int32), n)), pa.array(codes.reshape(-1))], names=[key, "band", "code"])
+
+    kind = vecs.schema[key].dataType.simpleString()
+    return vecs.select(key, F.col("vec").cast("array<double>").alias("vec")).mapInArrow(run, f"{key} {kind}, band int, code bigint")
+
+
+def similar_tokens_lsh(vecs: DataFrame, tau: float, dim: int = 64, bands: int | None = None, rows: int | None = None, seed: int = 7) -> DataFrame:
+    """Similar pairs among tokens that agree in a band of hyperplane signs; confirmed exactly.
+
+    Bands and rows follow from the number of tokens and the threshold.
+    """
+    if bands is None or rows is None:
+        bands, rows = lsh_plan(vecs.count(), tau)
     keys = hyperplane_keys(vecs, "tok", dim, bands, rows, seed)
     a, b = keys.select("band", "code", F.col("tok").alias("a")), keys.select("band", "code", F.col("tok").alias("b"))
     return _with_vectors(a.join(b, ["band", "code"]).filter("a < b").select("a", "b").distinct(), vecs, tau)
 
 
-def cluster_star(pairs: DataFrame, freq: DataFrame, rounds: int = 20) -> DataFrame:
+def cluster_star(pairs: DataFrame, freq: DataFrame) -> DataFrame:
     """(tok, rep): tokens join the most frequent similar token that is itself a centre.
 
     A token becomes a centre once no undecided similar token outranks it; its
     undecided neighbours then join it.  Clusters are stars, so no chains form.
+    Each round decides at least the most frequent open token, so the rounds end.
     """
     both = pairs.select("a", "b").union(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
     order = freq.select("tok", F.struct((-F.col("freq")).alias("f"), "tok").alias("rank"))
     near = settle(both.join(order.select(F.col("tok").alias("a"), F.col("rank").alias("ra")), "a").join(order.select(F.col("tok").alias("b"), F.col("rank").alias("rb")), "b"))
     todo = settle(near.select(F.col("a").alias("tok"), F.col("ra").alias("rank")).distinct())
     done = None
-    for _ in range(rounds):
+    while True:
         open_near = near.join(todo.select(F.col("tok").alias("a")), "a").join(todo.select(F.col("tok").alias("b")), "b")
         best = open_near.groupBy("a").agg(F.min("rb").alias("best"))
         centres = todo.join(best, F.col("tok") == F.col("a"), "left").filter("best is null or rank < best").select("tok", "rank")
@@ -87,18 +118,34 @@ def cluster_star(pairs: DataFrame, freq: DataFrame, rounds: int = 20) -> DataFra
     return done.filter("tok <> rep")
 
 
-def cluster_components(pairs: DataFrame, freq: DataFrame, rounds: int = 50) -> DataFrame:
-    """(tok, rep) of the transitive reading: connected components, most frequent token first."""
-    both = pairs.select("a", "b").union(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    label = settle(both.select(F.col("a").alias("tok")).distinct().join(freq, "tok").select("tok", F.struct((-F.col("freq")).alias("f"), "tok").alias("l")))
+def _mark(edges: DataFrame) -> tuple:
+    """Number of edges and an order-free sum of their hashes."""
+    return tuple(edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first())
+
+
+def cluster_components(pairs: DataFrame, freq: DataFrame, rounds: int = 60) -> DataFrame:
+    """(tok, rep) of the transitive reading: connected components, most frequent token first.
+
+    Stars are contracted in turn from the larger and the smaller neighbours, which
+    takes few rounds for long chains too; raises where they do not settle.
+    """
+    order = freq.select("tok", F.struct((-F.col("freq")).alias("f"), "tok").alias("rank"))
+    end = lambda side: order.select(F.col("tok").alias(side), F.col("rank").alias("r" + side))
+    ranked = pairs.select("a", "b").join(end("a"), "a").join(end("b"), "b").filter("ra <> rb")
+    now = settle(ranked.select(F.greatest("ra", "rb").alias("u"), F.least("ra", "rb").alias("v")).distinct())
+    mark = _mark(now)
     for _ in range(rounds):
-        seen = both.join(label.select(F.col("tok").alias("b"), F.col("l").alias("lb")), "b").groupBy("a").agg(F.min("lb").alias("m"))
-        new = settle(label.join(seen, F.col("tok") == F.col("a")).select("tok", F.least("l", "m").alias("l")))
-        moved = new.join(label.select("tok", F.col("l").alias("old")), "tok").filter("l <> old").limit(1).count()
-        label = new
-        if not moved:
-            break
-    return label.select("tok", F.col("l.tok").alias("rep")).filter("tok <> rep")
+        both = now.union(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
+        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("m", "u").alias("m"))
+        large = both.filter("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select("u", F.col("m").alias("v")))
+        large = large.filter("u > v").distinct()
+        low = large.groupBy("u").agg(F.min("v").alias("m"))
+        small = large.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select("u", F.col("m").alias("v")))
+        now = settle(small.filter("u > v").distinct())
+        seen, mark = mark, _mark(now)
+        if mark == seen:
+            return now.groupBy("u").agg(F.min("v").alias("v")).select(F.col("u.tok").alias("tok"), F.col("v.tok").alias("rep"))
+    raise RuntimeError(f"components did not settle in {rounds} rounds")
 
 
 def apply_merge(tokens: DataFrame, mapping: DataFrame) -> DataFrame:

@@ -71,11 +71,12 @@ def transitions(spark: SparkSession, g: Graph, p: Params, weights: DataFrame | N
 
 
 def _pick(lst: Column, u: Column) -> Column:
-    """Inverse of the cumulative weights: the first entry whose running sum exceeds u times the total."""
+    """Inverse of the cumulative weights: the first entry whose running sum exceeds u times the total; even if all are 0."""
     total = F.aggregate(lst, F.lit(0.0), lambda s, x: s + x["w"])
     start = F.struct(F.lit(0.0).alias("s"), F.lit(None).cast("long").alias("d"))
     done = F.aggregate(lst, start, lambda a, x: F.struct((a["s"] + x["w"]).alias("s"), F.when(a["d"].isNull() & (a["s"] + x["w"] > u * total), x["dst"]).otherwise(a["d"]).alias("d")))
-    return F.coalesce(done["d"], F.element_at(lst, -1)["dst"])
+    evenly = F.get(lst, F.floor(u * F.size(lst)).cast("int"))["dst"]
+    return F.when(total == 0, evenly).otherwise(F.coalesce(done["d"], F.element_at(lst, -1)["dst"]))
 
 
 def starts(nodes: DataFrame, p: Params, per_kind: dict[str, float] | None = None) -> DataFrame:
@@ -135,6 +136,8 @@ def walks_on_arrays(spark: SparkSession, first: DataFrame, t: Transitions, p: Pa
 
     def weighted(entry: tuple[list, list], u: float) -> int:
         dsts, cums = entry
+        if not cums[-1]:
+            return dsts[int(u * len(dsts))]
         return dsts[min(bisect_right(cums, u * cums[-1]), len(dsts) - 1)]
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:

@@ -44,14 +44,19 @@ class Params:
     walks_per_node: int = 10
     dim: int = 300
     window: int = 3
-    #: "ppmi": shifted positive PMI, hashed to ``dim``; "w2v": skip-gram of MLlib.
+    #: "ppmi": shifted positive PMI, hashed to ``dim``; "w2v": skip-gram of MLlib; "blocked": skip-gram in blocks.
     learner: str = "ppmi"
     #: Graphs up to this many edges walk on broadcast arrays, larger ones by joins.
     local_edges: int = 4_000_000
     tau_sm: float = 0.2
     tau_er: float = 0.3
+    #: Record pairs that are scored: those that share a rare token ("shared"), those whose
+    #: vectors agree in a band of hyperplane signs ("lsh"), either ("both"), or "all".
+    er_candidates: str = "both"
     #: Largest document frequency of a token that proposes record pairs.
     max_df: int = 50
+    #: Cosine at which bands of hyperplane signs meet a pair almost surely.
+    er_cosine: float = 0.7
     seed: int = 42
 
     def __post_init__(self):
@@ -60,7 +65,7 @@ class Params:
         weights = (self.c_m, self.c_l, self.c_v, self.c_f)
         if min(weights) < 0 or not sum(weights):
             raise ValueError("importance weights must be >= 0 and not all 0")
-        for name, allowed in (("token_mode", ("token", "cell")), ("edge_cmp", ("ge", "gt")), ("gap_denominator", ("abs", "printed")), ("gap_form", ("printed", "homogeneous")), ("cos_on", ("padded", "shared")), ("cid_edge_mass", ("unit", "share")), ("feature_scale", ("raw", "signed_log")), ("learner", ("ppmi", "w2v"))):
+        for name, allowed in (("token_mode", ("token", "cell")), ("edge_cmp", ("ge", "gt")), ("gap_denominator", ("abs", "printed")), ("gap_form", ("printed", "homogeneous")), ("cos_on", ("padded", "shared")), ("cid_edge_mass", ("unit", "share")), ("feature_scale", ("raw", "signed_log")), ("learner", ("ppmi", "w2v", "blocked")), ("er_candidates", ("shared", "lsh", "both", "all"))):
             if getattr(self, name) not in allowed:
                 raise ValueError(f"{name} must be one of {allowed}")
 

@@ -28,16 +28,25 @@ class LinkResult:
     record_matches: DataFrame
     #: Seconds and counts by stage.
     cost: dict[str, float] = field(default_factory=dict)
+    #: What was persisted on the way.
+    held: list[DataFrame] = field(default_factory=list)
+
+    def release(self) -> None:
+        """Gives back what this run persisted, and nothing else."""
+        for df in self.held:
+            df.unpersist()
 
 
 def link(spark: SparkSession, pair: TablePair, p: Params = Params(), cost: bool = False) -> LinkResult:
     """The contextual graph method; with ``p.tripartite()`` the plain graph baseline."""
     spent: dict[str, float] = {}
+    held: list[DataFrame] = []
     began = time.time()
 
     def keep(name: str, df: DataFrame) -> DataFrame:
         nonlocal began
         df = df.persist(StorageLevel.MEMORY_AND_DISK)
+        held.append(df)
         if cost:
             spent[f"{name}_rows"] = df.count()
             spent[f"{name}_s"] = round(time.time() - began, 3)
@@ -59,8 +68,21 @@ def link(spark: SparkSession, pair: TablePair, p: Params = Params(), cost: bool
     cids, rids = named("C", g.cids, "cid"), keep("record_vectors", named("R", g.rids, "rid"))
     one = lambda df, s: df.filter(F.col("key").startswith(f"{s}:"))
     column_scores = match.schema_scores(one(cids, 0), one(cids, 1))
-    record_scores = keep("record_scores", match.cosine_pairs(match.candidates_shared_token(g.rid_tok, p.max_df), one(rids, 0), one(rids, 1)))
-    return LinkResult(g, vectors, column_scores, match.select_matches(column_scores, "mutual_best", p.tau_sm), record_scores, match.select_matches(record_scores, "mutual_best", p.tau_er), spent)
+    left, right = one(rids, 0), one(rids, 1)
+    record_scores = keep("record_scores", _record_scores(g, left, right, p))
+    held.extend(tables.tables)
+    return LinkResult(g, vectors, column_scores, match.select_matches(column_scores, "mutual_best", p.tau_sm), record_scores, match.select_matches(record_scores, "mutual_best", p.tau_er), spent, held)
+
+
+def _record_scores(g: Graph, left: DataFrame, right: DataFrame, p: Params) -> DataFrame:
+    """Scores of record pairs.  "all" leaves out those below the threshold, which no rule takes."""
+    if p.er_candidates == "all":
+        return match.all_scores(left, right, p.tau_er, p.dim)
+    pairs = match.candidates_shared_token(g.rid_tok, p.max_df) if p.er_candidates != "lsh" else None
+    if p.er_candidates != "shared":
+        near = match.candidates_lsh(left, right, p.dim, cosine=p.er_cosine)
+        pairs = near if pairs is None else pairs.union(near).distinct()
+    return match.cosine_pairs(pairs, left, right)
 
 
 def link_tripartite(spark: SparkSession, pair: TablePair, p: Params = Params(), cost: bool = False) -> LinkResult:
@@ -84,18 +106,20 @@ def experiment(spark: SparkSession, pair: TablePair, p: Params = Params(), metho
     for m in methods:
         result = link(spark, pair, p if m == "CG" else p.tripartite())
         rows += [tuple(r) for r in scored(spark, pair, result, m).collect()]
-        spark.catalog.clearCache()
+        result.release()
     return spark.createDataFrame(rows, "workload string, method string, task string, precision double, recall double, f1 double")
 
 
 def ablate(spark: SparkSession, pair: TablePair, p: Params = Params()) -> DataFrame:
-    """All settings of the three innovations, and similarity by schema or instances alone."""
+    """All settings of the three innovations, similarity by schema or instances alone, and importance without each of its parts."""
     rows = []
     grid = {f"edges={int(e)} merge={int(m)} weights={int(w)}": replace(p, cid_edges=e, merge=m, weighted=w) for e in (True, False) for m in (True, False) for w in (True, False)}
     grid |= {"schema only": replace(p, fixed_alpha=1.0), "instances only": replace(p, fixed_alpha=0.0)}
+    grid |= {f"without {c}": replace(p, **{c: 0.0}) for c in ("c_m", "c_l", "c_v", "c_f")}
     for name, q in grid.items():
-        rows += [(name, *r) for r in map(tuple, scored(spark, pair, link(spark, pair, q), "CG").select("task", "precision", "recall", "f1").collect())]
-        spark.catalog.clearCache()
+        result = link(spark, pair, q)
+        rows += [(name, *r) for r in map(tuple, scored(spark, pair, result, "CG").select("task", "precision", "recall", "f1").collect())]
+        result.release()
     return spark.createDataFrame(rows, "setting string, task string, precision double, recall double, f1 double")
 
 

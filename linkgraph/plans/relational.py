@@ -5,6 +5,7 @@ Each entry is (function of (spark, sf_dir), SQL text).
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -50,12 +51,12 @@ def theta_join(spark, d):
 
 
 def range_join(spark, d):
-    """Events within a day after an order of the same number, by day buckets instead of all pairs."""
+    """Events of a user within a day after each purchase, by day buckets instead of all pairs."""
     day = lambda c: F.floor(F.unix_seconds(F.col(c).cast("timestamp")) / 86400)
-    o = _t(spark, d, "orders").select("o_custkey", F.col("o_orderdate").alias("od"), F.explode(F.array(day("o_orderdate"), day("o_orderdate") + 1)).alias("bucket"))
-    e = _t(spark, d, "events").select("event_id", "user_id", "ts", day("ts").alias("bucket"))
-    hit = o.join(e, (F.col("o_custkey") == F.col("user_id")) & (o.bucket == e.bucket)).filter((F.col("ts") >= F.col("od")) & (F.col("ts") < F.col("od") + F.expr("interval 1 day")))
-    return hit.groupBy("user_id").agg(F.count(F.lit(1)).alias("n"))
+    e = _t(spark, d, "events").select("event_id", "user_id", "ts", "event_type", day("ts").alias("bucket"))
+    bought = e.filter("event_type = 'purchase'").select(F.col("event_id").alias("purchase_id"), F.col("user_id").alias("buyer"), F.col("ts").alias("at"), F.explode(F.array("bucket", F.col("bucket") + 1)).alias("day"))
+    hit = bought.join(e, (F.col("buyer") == F.col("user_id")) & (F.col("day") == F.col("bucket"))).filter("ts > at and ts < at + interval 1 day")
+    return hit.groupBy("purchase_id").agg(F.count(F.lit(1)).alias("n"))
 
 
 def asof_join(spark, d):
@@ -142,6 +143,64 @@ def tumbling(spark, d):
     return _t(spark, d, "events").groupBy(F.window(F.col("ts").cast("timestamp"), "1 hour").alias("w"), "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.unix_seconds("w.start").alias("start"), "event_type", "n")
 
 
+def approximate(spark, d):
+    """Sketches within their stated errors of the exact figures: distinct values, medians, frequent values."""
+    line = _t(spark, d, "lineitem")
+    exact = line.agg(F.count_distinct("l_orderkey").alias("n"), F.expr("percentile(l_extendedprice, 0.5)").alias("m"))
+    rough = line.agg(
+        F.approx_count_distinct("l_orderkey", 0.02).alias("a"), F.hll_sketch_estimate(F.hll_sketch_agg("l_orderkey")).alias("h"),
+        F.percentile_approx("l_extendedprice", 0.5, 10_000).alias("p"), F.expr("kll_sketch_get_quantile_double(kll_sketch_agg_double(l_extendedprice), 0.5D)").alias("k"),
+    )
+    both = exact.crossJoin(rough)  # one row each
+    near = lambda c, to, by: (F.abs(F.col(c) / F.col(to) - 1) <= by)
+    return both.select(near("a", "n", 0.06).alias("distinct_ok"), near("h", "n", 0.06).alias("sketch_ok"), near("p", "m", 0.01).alias("median_ok"), near("k", "m", 0.06).alias("quantiles_ok"))
+
+
+def arrow_function(spark, d):
+    """Vector lengths by a function over Arrow columns."""
+    import pyarrow as pa
+    import pyarrow.compute as pc
+
+    @F.pandas_udf("double")
+    def length(v: pd.Series) -> pd.Series:
+        return v.map(lambda x: float(sum(float(y) * float(y) for y in x)) ** 0.5)
+
+    def squares(batches):
+        for b in batches:
+            v = b.column("embedding")
+            flat = pc.cast(v.flatten(), pa.float64())
+            sums = pa.TableGroupBy(pa.table({"i": pc.list_parent_indices(v), "x": pc.multiply(flat, flat)}), "i").aggregate([("x", "sum")]).sort_by("i")
+            yield pa.RecordBatch.from_arrays([b.column("vec_id"), pc.sqrt(sums.column("x_sum")).combine_chunks()], names=["vec_id", "size"])
+
+    v = _t(spark, d, "embeddings").select("vec_id", "embedding")
+    by_arrow = v.mapInArrow(squares, "vec_id long, size double")
+    return by_arrow.join(v.select("vec_id", length("embedding").alias("other")), "vec_id").select("vec_id", F.round("size", 4).alias("size"), (F.abs(F.col("size") - F.col("other")) < 1e-9).alias("same"))
+
+
+def grouped_function(spark, d):
+    """Spread of balances by nation with an aggregate function over Arrow batches."""
+
+    @F.pandas_udf("double")
+    def spread(v: pd.Series) -> float:
+        return float(v.max() - v.min())
+
+    return _t(spark, d, "customer").groupBy("c_nationkey").agg(F.round(spread("c_acctbal"), 2).alias("spread"))
+
+
+def table_function(spark, d):
+    """Words of names with their places, by a table function in a lateral join."""
+
+    @F.udtf(returnType="pos int, word string")
+    class Words:
+        def eval(self, text: str):
+            for k, w in enumerate((text or "").split(" ")):
+                yield k, w
+
+    spark.udtf.register("linkgraph_words", Words)
+    _t(spark, d, "part").select("p_partkey", "p_name").createOrReplaceTempView("linkgraph_parts")
+    return spark.sql("SELECT p_partkey, w.pos, w.word FROM linkgraph_parts, LATERAL linkgraph_words(p_name) w")
+
+
 _DAY = "CAST(floor(epoch({c}) / 86400) AS BIGINT)"
 
 QUERIES: dict = {
@@ -152,7 +211,7 @@ QUERIES: dict = {
     "rel_outer_join": (outer_join, "SELECT toxic, count(*) AS n FROM documents FULL JOIN labels USING (doc_id) GROUP BY 1"),
     "rel_semi_anti": (semi_anti, "SELECT CASE WHEN doc_id IN (SELECT doc_id FROM labels) THEN 'labelled' ELSE 'unlabelled' END AS kind, count(*) AS n FROM documents GROUP BY 1"),
     "rel_theta_join": (theta_join, "SELECT x.n_nationkey AS a, y.n_nationkey AS b FROM nation x JOIN nation y ON x.n_nationkey < y.n_nationkey AND x.n_regionkey = y.n_regionkey"),
-    "rel_range_join": (range_join, "SELECT user_id, count(*) AS n FROM orders JOIN events ON o_custkey = user_id AND ts >= o_orderdate AND ts < o_orderdate + INTERVAL 1 DAY GROUP BY 1"),
+    "rel_range_join": (range_join, "SELECT b.event_id AS purchase_id, count(*) AS n FROM events b JOIN events e ON b.event_type = 'purchase' AND b.user_id = e.user_id AND e.ts > b.ts AND e.ts < b.ts + INTERVAL 1 DAY GROUP BY 1"),
     "rel_asof_join": (asof_join, "SELECT event_id, before_id FROM (SELECT event_id, event_type, last_value(CASE WHEN event_type <> 'purchase' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS before_id FROM events) WHERE event_type = 'purchase'"),
     "rel_lateral_topk": (lateral_topk, "SELECT c_custkey, o_orderkey, CAST(r AS INT) AS r FROM (SELECT c_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS r FROM customer JOIN orders ON c_custkey = o_custkey WHERE c_nationkey = 0) WHERE r <= 2"),
     "rel_aggregates": (filtered_aggregates, "SELECT l_returnflag, count(*) AS n, count(*) FILTER (l_discount > 0.05) AS n_rebate, count(DISTINCT l_suppkey) AS n_supp, sum(CAST(l_quantity AS DECIMAL(18,2))) AS units FROM lineitem GROUP BY 1"),
@@ -171,5 +230,9 @@ QUERIES: dict = {
     "rel_arrays": (arrays, "SELECT vec_id, CAST(len(embedding) AS INT) AS dim, CAST(len(list_filter(embedding, lambda x: x > 0)) AS INT) AS positive FROM embeddings"),
     "rel_top_rows": (top_rows, "SELECT o_orderkey FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 100"),
     "rel_hash_sample": (hash_sample, "SELECT o_orderkey FROM orders WHERE (('0x' || substr(md5('42|sample|' || o_orderkey), 1, 13))::BIGINT / 4503599627370496.0) < 0.1"),
+    "rel_approximate": (approximate, "SELECT true AS distinct_ok, true AS sketch_ok, true AS median_ok, true AS quantiles_ok FROM (SELECT count(*) FROM lineitem)"),
+    "rel_arrow_function": (arrow_function, "SELECT vec_id, round(sqrt(list_sum(list_transform(CAST(embedding AS DOUBLE[]), lambda x: x * x))), 4) AS size, true AS same FROM embeddings"),
+    "rel_grouped_function": (grouped_function, "SELECT c_nationkey, round(max(c_acctbal) - min(c_acctbal), 2) AS spread FROM customer GROUP BY 1"),
+    "rel_table_function": (table_function, "SELECT p_partkey, CAST(unnest(range(len(ws))) AS INT) AS pos, unnest(ws) AS word FROM (SELECT p_partkey, string_split(p_name, ' ') AS ws FROM part)"),
     "rel_tumbling": (tumbling, "SELECT CAST(floor(epoch(ts) / 3600) * 3600 AS BIGINT) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2"),
 }

@@ -7,6 +7,7 @@ from dataclasses import replace
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from linkgraph.functions.draws import u52
 from linkgraph.operators import properties
 from linkgraph.operators.prepare import cells
 from linkgraph.params import Params
@@ -56,10 +57,15 @@ CUTS = {
     "P": _cut("P", "BB", _BB4, 2000, 600, 0.10),
     "Q": _cut("Q", "BB", _BB4, 2000, 1000, 0.10),
 }
+#: Numeric columns alone; long texts and addresses, nearly all of them different.
+MORE_CUTS = {
+    "NUM": _cut("NUM", "BC", (("l_orderkey", "l_extendedprice", "l_quantity", "p_retailprice"), ("l_partkey", "l_discount"), ("l_suppkey", "l_tax")), 2000, 400, 0.10),
+    "DIV": _cut("DIV", "BE", (("text", "n_chars", "source"), ("lang",), ("n_words",)), 400, 80, 0.05),
+}
 BLOCKS = {"F": "specificity", "G": "specificity", "H": "specificity", "I": "size", "J": "size", "K": "size", "L": "columns", "M": "columns", "N": "columns", "O": "rows", "P": "rows", "Q": "rows"}
 
 #: Walk settings of the experiments, fixed on a pair outside of them; the same for both methods.
-RUN = Params(walks_per_node=4, walk_length=12, dim=128)
+RUN = Params(walks_per_node=4, walk_length=12, dim=128, er_candidates="all")
 
 #: Missing rates of either side in the sweep; where gaps lie, at two of the rates.
 RATES = (0.0, 0.05, 0.1, 0.2, 0.3, 0.4, 0.5)
@@ -109,6 +115,47 @@ def confusable(spark: SparkSession, sf_dir: str) -> TablePair:
     return TablePair((left, right), ("user_id", "user_id"), {}, true, shared, (False, False), "LX")
 
 
+def variants(spark: SparkSession, sf_dir: str) -> TablePair:
+    """Parts and their names with a word cut short, two letters swapped, or the case changed."""
+    part = spark.read.parquet(f"{sf_dir}/part.parquet").select("p_partkey", "p_name", "p_brand")
+    u = u52(42, "variant", F.col("p_partkey"))
+    first, last = F.split("p_name", " ")[0], F.element_at(F.split("p_name", " "), -1)
+    swapped = F.concat(F.substring("p_name", 1, 2), F.substring("p_name", 4, 1), F.substring("p_name", 3, 1), F.expr("substring(p_name, 5)"))
+    other = F.when(u < 0.3, F.concat_ws(" ", first, F.concat(F.substring(last, 1, 4), F.lit(".")))).when(u < 0.6, swapped).otherwise(F.upper("p_name"))
+    left = part.filter("p_partkey % 4 <> 0").select("p_partkey", "p_name", "p_brand")
+    right = part.filter("p_partkey % 4 <> 1").select("p_partkey", other.alias("item_label"), F.col("p_brand").alias("maker"))
+    shared = part.filter("p_partkey % 4 > 1").select(F.concat(F.lit("0:"), F.col("p_partkey").cast("string")).alias("left_key"), F.concat(F.lit("1:"), F.col("p_partkey").cast("string")).alias("right_key"))
+    return TablePair((left, right), ("p_partkey", "p_partkey"), {}, (("p_name", "item_label"), ("p_brand", "maker")), shared, (False, False), "TOK")
+
+
+def copied_documents(spark: SparkSession, sf_dir: str) -> TablePair:
+    """Documents of even and of odd number; equal texts are the same record."""
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "lang", "source")
+    left, right = docs.filter("doc_id % 2 = 0"), docs.filter("doc_id % 2 = 1").withColumnsRenamed({"text": "body", "lang": "language", "source": "origin"})
+    a, b = left.select(F.concat(F.lit("0:"), F.col("doc_id").cast("string")).alias("left_key"), F.sha2("text", 256).alias("h")), right.select(F.concat(F.lit("1:"), F.col("doc_id").cast("string")).alias("right_key"), F.sha2("body", 256).alias("h"))
+    return TablePair((left, right), ("doc_id", "doc_id"), {}, (("text", "body"), ("lang", "language"), ("source", "origin")), a.join(b, "h").drop("h"), (False, False), "NAT2")
+
+
+def held_passages(spark: SparkSession, sf_dir: str, table: str = "benchmark", width: int = 8) -> DataFrame:
+    """Share of each item's (or turn's) windows of words that a document holds: semi-structured text matched by containment."""
+    windows = lambda df, key: (
+        df.select(F.col(key).alias(key), F.filter(F.split(F.lower("text"), r"[^\p{L}0-9]+"), lambda w: w != "").alias("ws"))
+        .filter(F.size("ws") >= width)
+        .select(key, F.explode(F.array_distinct(F.expr(f"transform(sequence(1, size(ws) - {width - 1}), i -> array_join(slice(ws, i, {width}), ' '))"))).alias("g"))
+    )
+    items = spark.read.parquet(f"{sf_dir}/{table}.parquet")
+    items = items.select("item_id", "text") if table == "benchmark" else items.select(F.concat_ws(":", "conv_id", "turn").alias("item_id"), "text")
+    mine, theirs = windows(items, "item_id"), windows(spark.read.parquet(f"{sf_dir}/documents.parquet"), "doc_id")
+    total = mine.groupBy("item_id").agg(F.count(F.lit(1)).alias("n"))
+    met = mine.join(theirs, "g").groupBy("item_id", "doc_id").agg(F.count(F.lit(1)).alias("hits"))
+    return met.join(total, "item_id").select(F.col("item_id").cast("string").alias("item_id"), "doc_id", F.round(F.col("hits") / F.col("n"), 6).alias("held")).filter("held >= 0.5")
+
+
+def _held_sql(table: str, key: str, width: int = 8) -> str:
+    grams = lambda k, t: f"SELECT DISTINCT k, array_to_string(ws[i:i + {width - 1}], ' ') AS g FROM (SELECT k, ws, unnest(range(1, CAST(len(ws) AS BIGINT) - {width - 2})) AS i FROM (SELECT {k} AS k, list_filter(string_split_regex(lower(text), '[^\\p{{L}}0-9]+'), lambda w: w <> '') AS ws FROM {t}) WHERE len(ws) >= {width})"
+    return f"WITH m AS ({grams(key, table)}), d AS ({grams('doc_id', 'documents')}), t AS (SELECT k, count(*) AS n FROM m GROUP BY 1), h AS (SELECT m.k AS item, d.k AS doc_id, count(*) AS hits FROM m JOIN d USING (g) GROUP BY 1, 2) SELECT CAST(item AS VARCHAR) AS item_id, doc_id, round(hits / n, 6) AS held FROM h JOIN t ON t.k = item WHERE round(hits / n, 6) >= 0.5"
+
+
 def experiment_one(spark: SparkSession, sf_dir: str, p: Params = RUN, scale: float = 1.0) -> DataFrame:
     """Five bases, both graph methods, both tasks."""
     out = None
@@ -137,6 +184,12 @@ def _props(letter: str):
 
 #: All at the size and with the walks of the experiments; tests run smaller ones through ``run``.
 QUERIES = {f"wl_{k}": (_wl(k), None) for k in CUTS} | {f"wl_{k}_properties": (_props(k), None) for k in CUTS}
+QUERIES |= {f"wl_{k}": (lambda s, d, c=c: plans.experiment(s, cut_pair(s, d, c), RUN), None) for k, c in MORE_CUTS.items()}
+QUERIES["wl_TOK"] = (lambda s, d: plans.experiment(s, variants(s, d), replace(RUN, token_mode="cell")), None)
+QUERIES["wl_NAT2"] = (lambda s, d: plans.experiment(s, copied_documents(s, d), RUN), None)
+QUERIES["wl_NAT3"] = (lambda s, d: held_passages(s, d), _held_sql("benchmark", "item_id"))
+QUERIES["wl_NAT3_turns"] = (lambda s, d: held_passages(s, d, "conversations"), _held_sql("conversations", "conv_id || ':' || turn"))
+QUERIES["wl_seeds"] = (lambda s, d: plans.repeat(s, workload(s, d, "K"), p=RUN), None)
 QUERIES["wl_confusable"] = (lambda s, d: plans.experiment(s, confusable(s, d), RUN), None)
 QUERIES["wl_missing_sweep"] = (lambda s, d: missing_sweep(s, d), None)
 QUERIES["wl_missing_patterns"] = (lambda s, d: missing_sweep(s, d, (0.2, 0.4), patterns=PATTERNS), None)

@@ -6,7 +6,6 @@ stream can be held against the batch.
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable
 
@@ -14,6 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from linkgraph.operators import match
+from linkgraph.sources.shared import shared_folder
 
 EVENT_SCHEMA = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -64,7 +64,7 @@ def running_profile(events: DataFrame) -> DataFrame:
         for f in frames:
             n, total = n + len(f), total + float(f["value"].sum())
         state.update((n, total))
-        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "total": [round(total, 4)]})
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "total": [round(total, 2)]})
 
     return events.select("user_id", "value").groupBy("user_id").applyInPandasWithState(update, "user_id long, n long, total double", "n long, total double", "update", GroupStateTimeout.NoTimeout)
 
@@ -80,24 +80,39 @@ def match_batch(token_vectors: DataFrame, known: DataFrame, tau: float, sink: Ca
     def run(batch: DataFrame, number: int) -> None:
         weights = token_vectors.select("tok", F.lit(1.0).alias("w"))
         new = record_vectors(batch.groupBy("rid", "tok").agg(F.count(F.lit(1)).alias("mult")), token_vectors, weights, dim).withColumnRenamed("rid", "key")
-        pairs = match.candidates_lsh(new, known, dim, bands=8, rows=4)
+        pairs = match.candidates_lsh(new, known, dim)
         sink(match.select_matches(match.cosine_pairs(pairs, new, known), "best_left", tau), number)
 
     return run
 
 
 def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """Runs a stream over what is there now and returns the sink's rows."""
-    name = "drained_" + uuid.uuid4().hex
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", tempfile.mkdtemp(prefix="linkgraph-stream-")).trigger(availableNow=True).start()
+    """Runs a stream over what is there now and returns what it wrote: files in the shared folder."""
+    spark, where = stream.sparkSession, f"{shared_folder(stream.sparkSession)}/stream-{uuid.uuid4().hex}"
+    spark.createDataFrame([], stream.schema).write.parquet(f"{where}/rows")
+
+    def write(batch: DataFrame, number: int) -> None:
+        # a repeated batch writes the same folder again
+        part = f"{where}/rows" if mode == "complete" else f"{where}/rows/batch={number}"
+        batch.write.mode("overwrite").parquet(part)
+
+    query = stream.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", f"{where}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return stream.sparkSession.table(name)
+    return spark.read.schema(stream.schema).option("recursiveFileLookup", "true").parquet(f"{where}/rows")
+
+
+def _worsening(events: DataFrame) -> DataFrame:
+    """Events whose values go missing on some days more than on others."""
+    gap = F.pmod("event_id", F.lit(10)) < F.pmod(F.dayofmonth("ts"), F.lit(6))
+    return events.withColumn("value", F.when(~gap, F.col("value")))
 
 
 QUERIES = {
     "stream_profile": (lambda s, d: drain(window_profile(event_stream(s, d))), "SELECT CAST(floor(epoch(ts) / 21600) * 21600 AS BIGINT) AS start, count(*) AS n, CAST(sum(CAST(value IS NULL AS INT)) AS BIGINT) AS missing, min(value) AS low, max(value) AS high FROM events GROUP BY 1"),
-    "stream_drift": (lambda s, d: drift_alarm(drain(window_profile(event_stream(s, d)))).select("start", "rate", "state"), "SELECT CAST(floor(epoch(ts) / 21600) * 21600 AS BIGINT) AS start, round(CAST(0 AS DOUBLE), 6) AS rate, 'fine' AS state FROM events GROUP BY 1"),
+    "stream_drift": (lambda s, d: drift_alarm(drain(window_profile(_worsening(event_stream(s, d))))).select("start", "rate", "state"), "WITH e AS (SELECT CAST(floor(epoch(ts) / 21600) * 21600 AS BIGINT) AS start, CAST(event_id % 10 < day(ts) % 6 AS INT) AS gap FROM events), w AS (SELECT start, sum(gap) / count(*) AS r FROM e GROUP BY 1) SELECT start, round(r, 6) AS rate, CASE WHEN r >= 0.3 THEN 'alarm' WHEN r >= 0.2 THEN 'warning' ELSE 'fine' END AS state FROM w"),
+    "stream_sessions": (lambda s, d: drain(sessions(event_stream(s, d))), "WITH e AS (SELECT user_id, epoch(ts) AS t, CASE WHEN epoch(ts) - lag(epoch(ts)) OVER (PARTITION BY user_id ORDER BY ts) < 1800 THEN 0 ELSE 1 END AS fresh FROM events), g AS (SELECT user_id, t, sum(fresh) OVER (PARTITION BY user_id ORDER BY t ROWS UNBOUNDED PRECEDING) AS g FROM e) SELECT user_id, CAST(floor(min(t)) AS BIGINT) AS start, count(*) AS n FROM g GROUP BY user_id, g"),
+    "stream_static": (lambda s, d: drain(event_stream(s, d).join(F.broadcast(s.read.parquet(f"{d}/customer.parquet").select(F.col("c_custkey").alias("user_id"), "c_mktsegment")), "user_id").select("event_id", "c_mktsegment"), "append"), "SELECT event_id, c_mktsegment FROM events JOIN customer ON user_id = c_custkey"),
     "stream_sliding": (lambda s, d: drain(sliding_counts(event_stream(s, d))), "SELECT CAST((floor(epoch(ts) / 7200) - k) * 7200 AS BIGINT) AS start, event_type, count(*) AS n FROM events, range(3) t(k) GROUP BY 1, 2"),
     "stream_dedup": (lambda s, d: drain(without_repeats(event_stream(s, d)).select("event_id"), "append"), "SELECT DISTINCT event_id FROM events"),
-    "stream_running": (lambda s, d: drain(running_profile(event_stream(s, d)), "update").select("user_id", "n"), "SELECT user_id, count(*) AS n FROM events GROUP BY 1"),
+    "stream_running": (lambda s, d: drain(running_profile(event_stream(s, d)), "update"), "SELECT user_id, count(*) AS n, round(sum(value), 2) AS total FROM events GROUP BY 1"),
 }
