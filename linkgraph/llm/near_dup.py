@@ -10,10 +10,11 @@ Inside a table the members are not paired with each other.  In a few quick
 rounds every document is confirmed against one leader only, the one it shares
 most tables with.  Tables whose members all are in one component are then done.
 Documents of the others meet in blocks, where each pair of different components
-that collides in some table is compared once, and only pairs that reach the
-threshold leave the block.  The block compares whole sets, or bottom-k sketches
-of sets that are longer.  Every link is confirmed on full shingle sets
-recomputed from the texts.
+that collides in some table is compared once.  Whole sets are compared
+exactly, and of the links among them a spanning forest over components leaves
+the block: the others tie nothing that the forest does not.  Sets that are longer
+are judged by bottom-k sketches, and all their near pairs leave.  What leaves is
+confirmed on full shingle sets recomputed from the texts.
 """
 
 from __future__ import annotations
@@ -176,7 +177,7 @@ def _sketches(params: NearDupParams):
                 take = np.minimum(counts, params.sketch)
                 ends = np.cumsum(take)
                 at = np.repeat(np.cumsum(counts) - counts - (ends - take), take) + np.arange(int(take.sum()))
-                low = pa.ListArray.from_arrays(pa.array(np.append(0, ends).astype(np.int32)), pa.array((values[at] >> np.uint64(33)).astype(np.int32)))
+                low = pa.ListArray.from_arrays(pa.array(np.append(0, ends).astype(np.int32)), pa.array((values[at] >> np.uint64(1)).astype(np.int64)))
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(lo, hi - lo).cast(pa.int64()), low], names=["doc", "low"])
 
     return run
@@ -242,9 +243,35 @@ def _common(p: np.ndarray, q: np.ndarray, starts: np.ndarray, values: np.ndarray
     return total[p_at, q_at].astype(np.int64)
 
 
+def _forest(a: np.ndarray, b: np.ndarray, rank: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the edges (a, b) of nodes below ``size`` that make a spanning forest, and each node's tree.
+
+    Edges of the least rank come first, so that forests of blocks that share
+    edges choose the same ones.
+    """
+    order = np.argsort(rank, kind="stable")
+    code = np.minimum(a, b) * size + np.maximum(a, b)
+    order = order[np.sort(np.unique(code[order], return_index=True)[1])]
+    root = list(range(size))
+
+    def top(i: int) -> int:
+        while root[i] != i:
+            root[i] = root[root[i]]
+            i = root[i]
+        return i
+
+    kept = []
+    for e, i, j in zip(order.tolist(), a[order].tolist(), b[order].tolist(), strict=True):
+        i, j = top(i), top(j)
+        if i != j:
+            root[j] = i
+            kept.append(e)
+    return np.array(kept, np.int64), np.array([top(i) for i in range(size)], np.int64)
+
+
 def _near_in_block(rows: pa.Table, params: NearDupParams) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs of a block that may reach the threshold: certain for whole sets."""
-    doc, n = rows.column("doc").to_numpy(), rows.column("n").to_numpy()
+    """Pairs of a block that tie its components: a forest of the links of whole sets, all that may be links of longer ones."""
+    doc, n, lab = (rows.column(c).to_numpy() for c in ("doc", "n", "lab"))
     p, q = _colliding(rows, params)
     if not len(p):
         return p, q
@@ -253,7 +280,7 @@ def _near_in_block(rows: pa.Table, params: NearDupParams) -> tuple[np.ndarray, n
     starts = starts - starts[0]
     both = _common(p, q, starts, values)
     # of a cut list only hashes up to its last one can be judged
-    last = np.where(n > params.sketch, values[starts[1:] - 1], np.iinfo(np.int32).max)
+    last = np.where(n > params.sketch, values[starts[1:] - 1], np.iinfo(np.int64).max)
     sizes = np.empty((2, len(p)), np.int64)
     for k, (mine, other) in enumerate(((p, q), (q, p))):
         sizes[k] = n[mine]
@@ -263,9 +290,15 @@ def _near_in_block(rows: pa.Table, params: NearDupParams) -> tuple[np.ndarray, n
             sizes[k, at] = np.searchsorted(values[starts[i] : starts[i + 1]], last[other[at]], side="right")
     union = sizes[0] + sizes[1] - both
     cut = (n[p] > params.sketch) | (n[q] > params.sketch)
-    # one hash more or less, as short hashes may be equal by chance
-    good = np.where(cut, (both + 1) * params.sketch >= params.sketch_least * (union - 1), (both + 1) * params.den >= params.num * (union - 1))
-    return doc[p[good]], doc[q[good]]
+    good = np.where(cut, (both + 1) * params.sketch >= params.sketch_least * (union - 1), both * params.den >= params.num * union)
+    p, q, cut = p[good], q[good], cut[good]
+    names, at = np.unique(lab, return_inverse=True)
+    sure = np.flatnonzero(~cut)
+    x, y = doc[p[sure]], doc[q[sure]]
+    rank = mix(np.minimum(x, y).view(np.uint64) * np.uint64(31) + np.maximum(x, y).view(np.uint64))
+    kept, tree = _forest(at[p[sure]], at[q[sure]], rank, len(names))
+    out = np.append(sure[kept], np.flatnonzero(cut & (tree[at[p]] != tree[at[q]])))
+    return doc[p[out]], doc[q[out]]
 
 
 def _blocks(params: NearDupParams):
@@ -307,7 +340,7 @@ def _all_across(open_rows: DataFrame, reps: DataFrame, base: DataFrame, params:
     """
     docs = open_rows.groupBy("doc").agg(F.min("lab").alias("lab"))
     low = base.join(docs.select(F.col("doc").alias("doc_id")), "doc_id", "left_semi")
-    low = low.select("doc_id", "text").mapInArrow(_sketches(params), "doc long, low array<int>").filter("size(low) > 0").dropDuplicates(["doc"])
+    low = low.select("doc_id", "text").mapInArrow(_sketches(params), "doc long, low array<long>").filter("size(low) > 0").dropDuplicates(["doc"])
     full = materialise(reps.join(docs, "doc").join(low, "doc"), "sketches")
     sub = full.select("doc", "lab", F.posexplode(F.slice("keys", 1, params.subkeys)).alias("slot", "skey"))
     split = sub.groupBy("slot", "skey").agg(F.count(F.lit(1)).alias("c"), F.min("lab").alias("lo"), F.max("lab").alias("hi")).filter("lo <> hi")

@@ -3,6 +3,9 @@
 import random
 import re
 
+import numpy as np
+
+from linkgraph.llm import near_dup
 from linkgraph.llm.common import text_bytes
 from linkgraph.llm.components import connected_components
 from linkgraph.llm.near_dup import NearDupParams, keep_first, near_duplicates
@@ -72,6 +75,19 @@ def test_components(spark):
     assert got == {1: 1, 2: 1, 3: 1, 7: 7, 8: 7, 9: 7, 20: 20, 21: 20, 22: 20, 23: 20, 24: 20}
 
 
+def test_forest_ties_what_all_edges_tie():
+    draw = np.random.default_rng(4)
+    for size, edges in ((1, 0), (40, 15), (40, 60), (60, 1500)):
+        a, b = draw.integers(0, size, (2, edges))
+        kept, tree = near_dup._forest(a, b, draw.integers(0, 1 << 62, edges).astype(np.uint64), size)
+        label = np.arange(size)
+        for i, j in zip(a, b):
+            label[label == label[j]] = label[i]
+        same = lambda x: x[:, None] == x
+        assert (same(label) == same(tree)).all()
+        assert len(kept) == size - len(set(tree))
+
+
 def test_blocks_find_every_link_of_a_group_near_the_threshold(docs_of):
     """Many copies just above or below the threshold; blocks of 8, whole sets and cut ones."""
     rng = random.Random(11)
