@@ -20,3 +20,31 @@ def test_walks_beyond_the_arrays_go_by_joins(spark, monkeypatch, name):
     monkeypatch.setattr(walk, "walks_by_joins", lambda first, t, p: few)
     monkeypatch.setattr(catalog, "W", replace(catalog.W, local_edges=0))
     catalog.QUERIES[name][0](spark, SF)
+
+
+@pytest.mark.parametrize("name", ["vec_label_retrieval", "eval_ranking"])
+def test_vector_queries_send_no_pairs_through_a_join(spark, monkeypatch, name):
+    import duckdb
+
+    from linkgraph.operators import match
+    from linkgraph.plans import catalog
+    from tools.compare import rows_of
+
+    def refuse(*_):
+        raise AssertionError("vectors were joined to all pairs")
+
+    monkeypatch.setattr(match, "cosine_pairs", refuse)
+    run, sql = catalog.QUERIES[name]
+    df = run(spark, SF)
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW embeddings AS SELECT * FROM '{SF}/embeddings.parquet'")
+    cur = con.execute(sql)
+    assert rows_of(df.columns, df.collect()) == rows_of([c[0] for c in cur.description], cur.fetchall())
+
+
+def test_nearest_in_blocks_with_copies(spark):
+    from linkgraph.operators import embed
+
+    rows = spark.createDataFrame([(k, [1.0, 0.0]) for k in range(6)] + [(7, [0.0, 1.0]), (8, [0.6, 0.8])], "key long, vec array<double>").repartition(3)
+    got = embed.nearest(rows.filter("key in (0, 5, 7)"), rows, 2, block=2).collect()
+    assert sorted((r["left_key"], r["right_key"], r["score"]) for r in got) == [(0, 1, 1.0), (0, 2, 1.0), (5, 0, 1.0), (5, 1, 1.0), (7, 0, 0.0), (7, 8, 0.8)]
