@@ -31,7 +31,7 @@ def match_rules(spark: SparkSession, pair: TablePair, p: Params = Params(), leas
 
 def match_lexicon(spark: SparkSession, pair: TablePair, synonyms: DataFrame) -> DataFrame:
     """Lexicon control: columns whose name parts agree after replacing synonyms (word, concept)."""
-    meta = colsim.metadata(spark, pair)
+    meta = colsim.scanned_metadata(spark, pair)
     parts = meta.select("side", "cid", F.explode(F.array_distinct(F.split(F.lower("name"), "[^a-z0-9]+"))).alias("word")).filter("length(word) > 1")
     concepts = parts.join(F.broadcast(synonyms), "word", "left").select("side", "cid", F.coalesce("concept", "word").alias("c")).distinct()
     sizes = concepts.groupBy("cid").agg(F.count(F.lit(1)).alias("n"))
@@ -98,6 +98,18 @@ def render_schema_prompt(pair: TablePair, samples: dict[tuple[int, str], list[st
     return "\n".join(lines)
 
 
+def typical_values(pair: TablePair, k: int = 3) -> dict[tuple[int, str], list[str]]:
+    """The ``k`` most frequent values of each column, ties to the smaller one; what a prompt shows of the data."""
+    from linkgraph.operators.prepare import cells
+
+    counts = cells(pair).filter("not is_missing").groupBy("side", "cid", "val").agg(F.count(F.lit(1)).alias("n"))
+    best = counts.withColumn("r", F.row_number().over(Window.partitionBy("side", "cid").orderBy(F.desc("n"), "val"))).filter(F.col("r") <= k)
+    out: dict[tuple[int, str], list[str]] = {}
+    for r in best.orderBy("side", "cid", "r").collect():  # k rows a column
+        out.setdefault((r["side"], r["cid"].split(":", 1)[1]), []).append(re.sub(r"\s+", " ", r["val"]))
+    return out
+
+
 def parse_schema_answer(answer: str, pair: TablePair) -> list[tuple[str, str]]:
     """Column pairs of an answer; names that a table lacks are ignored."""
     found = re.findall(r"L\.([^\s=]+)\s*=\s*R\.([^\s,;]+)", answer)
@@ -106,7 +118,7 @@ def parse_schema_answer(answer: str, pair: TablePair) -> list[tuple[str, str]]:
 
 
 def prompt_schema_match(spark: SparkSession, pair: TablePair, complete: Completer, sample_rows: int = 0) -> DataFrame:
-    samples = {(s, c): [str(r[0]) for r in t.select(f"`{c}`").filter(F.col(f"`{c}`").isNotNull()).limit(sample_rows).collect()] for s, t in enumerate(pair.tables) for c in pair.columns(s)} if sample_rows else None
+    samples = typical_values(pair, sample_rows) if sample_rows else None
     rows = parse_schema_answer(complete(render_schema_prompt(pair, samples)), pair)
     return spark.createDataFrame(rows, "left_key string, right_key string")
 
@@ -160,7 +172,7 @@ class StubCompleter:
 
 def lexically_close(spark: SparkSession, pair: TablePair, least: float = 0.6) -> DataFrame:
     """Column pairs whose names are close, for the analysis of confusable names."""
-    meta = colsim.metadata(spark, pair)
+    meta = colsim.scanned_metadata(spark, pair)
     a, b = meta.filter("side = 0").select(F.col("cid").alias("left_key"), F.col("name").alias("l")), meta.filter("side = 1").select(F.col("cid").alias("right_key"), F.col("name").alias("r"))
     out = a.join(F.broadcast(b)).withColumn("s_lev", name_similarity(F.col("l"), F.col("r"))).filter(F.col("s_lev") >= least)
     return out.withColumn("rank", F.row_number().over(Window.partitionBy("left_key").orderBy(F.desc("s_lev"), "right_key"))).select("left_key", "right_key", F.round("s_lev", 6).alias("s_lev"), "rank")

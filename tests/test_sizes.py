@@ -48,3 +48,36 @@ def test_nearest_in_blocks_with_copies(spark):
     rows = spark.createDataFrame([(k, [1.0, 0.0]) for k in range(6)] + [(7, [0.0, 1.0]), (8, [0.6, 0.8])], "key long, vec array<double>").repartition(3)
     got = embed.nearest(rows.filter("key in (0, 5, 7)"), rows, 2, block=2).collect()
     assert sorted((r["left_key"], r["right_key"], r["score"]) for r in got) == [(0, 1, 1.0), (0, 2, 1.0), (5, 0, 1.0), (5, 1, 1.0), (7, 0, 0.0), (7, 8, 0.8)]
+
+
+@pytest.mark.parametrize("name", ["base_lexicon", "eval_confusable", "prop_data_size", "prop_specificity", "sim_candidate_columns", "sim_hash_encode", "sim_name", "eval_compare", "eval_sensitivity", "eval_summary"])
+def test_given_tables_are_scanned(spark, name):
+    from linkgraph.plans import catalog
+
+    plan = catalog.QUERIES[name][0](spark, SF)._jdf.queryExecution().executedPlan().toString()
+    assert "FileScan parquet" in plan and "ReadSchema: struct<>" not in plan
+
+
+def test_prompt_shows_typical_values(spark):
+    from pyspark.sql import functions as F
+
+    from linkgraph.operators.baselines import typical_values
+    from linkgraph.plans import catalog
+    from linkgraph.sources.pairs import TablePair
+
+    left = spark.createDataFrame([(1, "b"), (2, "a  c"), (3, "a c"), (4, None)], "k long, x string")
+    pair = TablePair((left, left.filter(F.lit(False))), ("k", "k"), {}, (), None, (False, False), "t")
+    assert typical_values(pair) == {(0, "x"): ["a c", "b"]}
+    lines = [r["text"] for r in catalog.QUERIES["base_prompt_render"][0](spark, SF).collect()]
+    assert sum("; for example " in x for x in lines) == 9
+
+
+def test_scanned_columns_stay_without_values_or_rows(spark):
+    from pyspark.sql import functions as F
+
+    from linkgraph.operators import colsim
+    from linkgraph.sources.pairs import TablePair
+
+    t = spark.createDataFrame([(1, None), (2, None)], "k long, x string")
+    got = colsim.scanned_metadata(spark, TablePair((t, t.filter(F.lit(False))), ("k", "k"))).collect()
+    assert {r["cid"]: r["n_filled"] for r in got} == {"0:k": 2, "0:x": 0, "1:k": 0, "1:x": 0}
