@@ -81,3 +81,26 @@ def test_scanned_columns_stay_without_values_or_rows(spark):
     t = spark.createDataFrame([(1, None), (2, None)], "k long, x string")
     got = colsim.scanned_metadata(spark, TablePair((t, t.filter(F.lit(False))), ("k", "k"))).collect()
     assert {r["cid"]: r["n_filled"] for r in got} == {"0:k": 2, "0:x": 0, "1:k": 0, "1:x": 0}
+
+
+def test_column_vectors_from_counted_walks(spark):
+    from pyspark.sql import functions as F
+
+    from linkgraph.functions.draws import node_id
+    from linkgraph.operators import embed, walk
+    from linkgraph.operators.graph import Graph
+    from linkgraph.params import Params
+
+    edges = [(f"0:{r}", f"t{(r * 3 + k) % 7}") for r in range(5) for k in range(3)]
+    rid_tok = spark.createDataFrame(edges, "rid string, tok string").withColumn("mult", F.lit(1))
+    tok_cid = spark.createDataFrame([(f"t{k}", f"{k % 2}:a", 1) for k in range(7)], "tok string, cid string, mult int")
+    cid = spark.createDataFrame([("0:a",), ("1:a",)], "cid string")
+    edge = spark.createDataFrame([("0:a", "1:a", 0.8)], "left_cid string, right_cid string, weight double")
+    p = Params(walk_length=6, walks_per_node=3, dim=16)
+    t = walk.transitions(spark, Graph(rid_tok.select("rid").distinct(), rid_tok, tok_cid, cid, edge), p, cid.withColumn("w", F.lit(1.0)))
+    first = walk.starts(rid_tok.select(node_id("R", F.col("rid")).alias("node_id"), F.lit("R").alias("kind")).distinct(), p)
+    ids = [r[0] for r in cid.select(node_id("C", F.col("cid"))).collect()]
+    whole = {r["node_id"]: r["vec"] for r in embed.embed_ppmi(walk.walks_on_arrays(spark, first, t, p), p).collect()}
+    few = {r["node_id"]: r["vec"] for r in embed.embed_few(walk.pairs_of_few(spark, first, t, p, ids), p).collect()}
+    assert set(few) == set(ids) & set(whole) and few
+    assert all(v == pytest.approx(whole[n], abs=1e-9) for n, v in few.items())
