@@ -104,3 +104,63 @@ def test_column_vectors_from_counted_walks(spark):
     few = {r["node_id"]: r["vec"] for r in embed.embed_few(walk.pairs_of_few(spark, first, t, p, ids), p).collect()}
     assert set(few) == set(ids) & set(whole) and few
     assert all(v == pytest.approx(whole[n], abs=1e-9) for n, v in few.items())
+
+
+def _small_pair(spark):
+    from pyspark.sql import functions as F
+
+    from linkgraph.sources.pairs import TablePair
+
+    rows = [(k, f"{'red' if k % 2 else 'blue'} item{k % 9}", float(k % 5)) for k in range(24)]
+    left = spark.createDataFrame(rows, "k long, label string, price double")
+    right = left.filter("k % 3 > 0").withColumnsRenamed({"label": "name", "price": "cost"})
+    # a record named as a column is
+    left = left.select(F.when(F.col("k") == 3, F.lit("label")).otherwise(F.col("k").cast("string")).alias("k"), "label", "price")
+    right = right.withColumn("k", F.col("k").cast("string"))
+    keys = [F.concat(F.lit(f"{s}:"), "k").alias(c) for s, c in enumerate(("left_key", "right_key"))]
+    return TablePair((left, right), ("k", "k"), {}, (("label", "name"), ("price", "cost")), right.select(*keys), (False, False), "small")
+
+
+def test_matches_on_arrays_are_those_of_link(spark):
+    from linkgraph.params import Params
+    from linkgraph.plans import link as plans
+
+    p = Params(walks_per_node=3, walk_length=8, dim=32, er_candidates="all", tau_cid=0.3)
+    for q in (replace(p, cid_edge_mass="unit"), p.tripartite()):
+        whole, quick = plans.link(spark, _small_pair(spark), q), plans.matched(spark, _small_pair(spark), q)
+        for a, b in ((whole.column_matches, quick.column_matches), (whole.record_matches, quick.record_matches)):
+            a, b = ({(r["left_key"], r["right_key"]): r["score"] for r in x.collect()} for x in (a, b))
+            assert a and a.keys() == b.keys() and all(b[k] == pytest.approx(a[k], abs=1e-9) for k in a)
+        whole.release()
+        quick.release()
+
+
+def test_experiments_keep_no_steps_or_record_pairs(spark, monkeypatch):
+    from linkgraph.params import Params
+    from linkgraph.plans import link as plans
+
+    def refuse(*_, **__):
+        raise AssertionError("walks or scores of all record pairs were written out")
+
+    monkeypatch.setattr(plans.walk, "random_walks", refuse)
+    monkeypatch.setattr(plans.match, "all_scores", refuse)
+    p = Params(walks_per_node=2, walk_length=6, dim=16, er_candidates="all")
+    assert plans.experiment(spark, _small_pair(spark), p).count() == 4
+    # graphs beyond the arrays still walk by joins
+    with pytest.raises(AssertionError):
+        plans.experiment(spark, _small_pair(spark), replace(p, local_edges=0))
+
+
+def test_mutual_best_over_blocks_and_ties(spark):
+    from pyspark.sql import functions as F
+
+    from linkgraph.operators import match
+
+    vecs = lambda n, k: [(f"{i:04d}", [float(1 + (i * k) % 7), float(i % 3), 1.0]) for i in range(n)]
+    left, right = (spark.createDataFrame(vecs(n, k), "key string, vec array<double>") for n, k in ((700, 3), (40, 5)))
+    from linkgraph.operators.embed import mutual_best
+
+    want = match.select_matches(match.all_scores(left, right, 0.2, 3).withColumn("score", F.round("score", 12)), "mutual_best", 0.2)
+    got = mutual_best(left, right, 0.2, 3).collect()
+    assert {(r[0], r[1]) for r in got} == {(r[0], r[1]) for r in want.collect()} and got
+    assert mutual_best(left, right.filter("key < ''"), 0.2, 3).count() == 0 == mutual_best(left.filter("key < ''"), right, 0.2, 3).count()
