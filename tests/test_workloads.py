@@ -51,3 +51,44 @@ def test_link_queries_use_all_parameters(monkeypatch):
         with pytest.raises(InterruptedError):
             catalog.QUERIES[name][0](None, "")
     assert seen == [Params(), Params().tripartite()]
+
+
+def test_cells_of_the_sweep_go_at_once(monkeypatch):
+    import threading
+
+    met = threading.Barrier(2, timeout=20)
+    monkeypatch.setattr(w, "cut_pair", lambda spark, d, cut: cut)
+    monkeypatch.setattr(w.plans, "experiment", lambda spark, pair, p: met.wait() < 2 and _Scores())
+
+    class Session:
+        def createDataFrame(self, rows, schema):
+            return rows
+
+    assert [r[1:3] for r in w.missing_sweep(Session(), "", (0.1, 0.2))] == [(0.1, 0.1), (0.1, 0.2), (0.2, 0.1), (0.2, 0.2)]
+
+
+def test_settings_of_the_ablation_go_at_once(monkeypatch):
+    import threading
+
+    met = threading.Barrier(2, timeout=20)
+
+    class Result:
+        def release(self):
+            met.wait()
+
+    class Rows:
+        def select(self, *_):
+            return self
+
+        def collect(self):
+            return [("SM", 1.0, 1.0, 1.0)]
+
+    class Session:
+        def createDataFrame(self, rows, schema):
+            return rows
+
+    monkeypatch.setattr(w.plans, "matched", lambda spark, pair, p: Result())
+    monkeypatch.setattr(w.plans, "scored", lambda *_: Rows())
+    pair = w.TablePair((), ())
+    rows = w.plans.ablate(Session(), pair)
+    assert len(rows) == 14 and rows[0][0] == "edges=1 merge=1 weights=1" and rows[-1][0] == "without c_f"
