@@ -2,6 +2,7 @@
 
 from dataclasses import replace
 
+import numpy as np
 import pytest
 
 SF = "/root/testdata/sf0.001"
@@ -164,3 +165,43 @@ def test_mutual_best_over_blocks_and_ties(spark):
     got = mutual_best(left, right, 0.2, 3).collect()
     assert {(r[0], r[1]) for r in got} == {(r[0], r[1]) for r in want.collect()} and got
     assert mutual_best(left, right.filter("key < ''"), 0.2, 3).count() == 0 == mutual_best(left.filter("key < ''"), right, 0.2, 3).count()
+
+
+@pytest.mark.parametrize("all_pairs", [60_000, 0])
+def test_tokens_merge_without_joins_of_pairs(spark, monkeypatch, all_pairs):
+    from pyspark.sql import functions as F
+
+    from linkgraph.operators import tokmerge
+    from linkgraph.params import Params
+
+    words = ["internationalisation", "internationalisations", "internationalisatio", "zebra", "zebras", "straße über", "Straße über!", "a" * 400, "...."]
+    tokens = spark.createDataFrame([(f"0:{k}", "0:x", w, 9 - k) for k, w in enumerate(words)], "rid string, cid string, tok string, occ long")
+    freq = tokmerge.mergeable(tokens.withColumnRenamed("occ", "mult"))
+    vecs = tokmerge.token_vectors(freq.select("tok"))
+    coded = {r["tok"]: r["code"] for r in tokmerge.coded_tokens(freq).collect()}
+    assert {t: np.frombuffer(c, np.int8 if len(c) == 64 else np.int32).tolist() for t, c in coded.items()} == {r["tok"]: r["vec"] for r in vecs.collect()}
+    want = tokmerge.apply_merge(tokens, tokmerge.cluster_star(tokmerge.similar_tokens_exact(vecs, 0.85), freq)).collect()
+    assert 3 <= len({r["tok"] for r in want}) < len(words)
+
+    def refuse(*_, **__):
+        raise AssertionError("pairs of tokens were joined")
+
+    monkeypatch.setattr(tokmerge, "similar_tokens_lsh", refuse)
+    monkeypatch.setattr(tokmerge, "ALL_PAIRS", all_pairs)
+    assert {tuple(r) for r in tokmerge.merge_tokens(spark, tokens, Params()).collect()} == {tuple(r) for r in want}
+    monkeypatch.setattr(tokmerge, "HELD_PAIRS", 0)
+    assert {tuple(r) for r in tokmerge.merge_tokens(spark, tokens, Params()).collect()} == {tuple(r) for r in want}
+    # nothing to fuse
+    assert tokmerge.merge_tokens(spark, tokens.filter(F.col("tok") == "...."), Params()).count() == 1
+
+
+def test_stars_on_arrays_are_those_of_rounds(spark):
+    from linkgraph.operators import tokmerge
+
+    rng = np.random.default_rng(3)
+    pairs = [(int(a), int(b)) for a, b in rng.integers(0, 60, (90, 2)) if a < b]
+    names = [f"t{i:02d}" for i in range(60)]
+    freq = spark.createDataFrame([(t, 100 - i) for i, t in enumerate(names)], "tok string, freq long")
+    want = {r["tok"]: r["rep"] for r in tokmerge.cluster_star(spark.createDataFrame([(names[a], names[b]) for a, b in pairs], "a string, b string"), freq).collect()}
+    rep = tokmerge.star_of(*(np.array(x) for x in zip(*pairs, strict=True)), np.arange(60))
+    assert {names[i]: names[r] for i, r in enumerate(rep) if r != i} == want
