@@ -205,3 +205,62 @@ def test_stars_on_arrays_are_those_of_rounds(spark):
     want = {r["tok"]: r["rep"] for r in tokmerge.cluster_star(spark.createDataFrame([(names[a], names[b]) for a, b in pairs], "a string, b string"), freq).collect()}
     rep = tokmerge.star_of(*(np.array(x) for x in zip(*pairs, strict=True)), np.arange(60))
     assert {names[i]: names[r] for i, r in enumerate(rep) if r != i} == want
+
+
+def _refuse_models(monkeypatch):
+    from pyspark.ml.feature import Word2Vec
+
+    def refuse(*_, **__):
+        raise AssertionError("a model was made on the driver")
+
+    monkeypatch.setattr(Word2Vec, "fit", refuse)
+
+
+@pytest.mark.parametrize("parts", [1, 5])
+def test_skipgram_of_parts(spark, monkeypatch, parts):
+    from linkgraph.operators import embed
+    from linkgraph.params import Params
+
+    _refuse_models(monkeypatch)
+    monkeypatch.setattr(embed, "task_parts", lambda *_: parts)
+    rng = np.random.default_rng(1)
+    rows = [(f"{w}:0", k, int(rng.integers(0, 10)) * 2 + w % 2) for w in range(1500) for k in range(8)] + [("alone", 0, 99)]
+    walks = spark.createDataFrame(rows, "walk_id string, step int, node_id long").repartition(7)
+    p = Params(dim=16, learner="w2v")
+    got = {r["node_id"]: np.array(r["vec"]) for r in embed.embed(walks, p).collect()}
+    assert set(got) == {*range(20), 99} and all(len(v) == 16 and np.isfinite(v).all() for v in got.values())
+    assert np.allclose(got[99], embed.first_vectors(np.array([99]), p)[0])
+    score = lambda a, b: float(embed.unit(got[a][None])[0] @ embed.unit(got[b][None])[0])
+    assert min(score(0, b) for b in range(2, 20, 2)) > max(score(0, b) for b in range(1, 20, 2)) + 0.3
+    again = {r["node_id"]: np.array(r["vec"]) for r in embed.embed(walks, p).collect()}
+    assert all(np.allclose(v, again[n], atol=1e-5) for n, v in got.items())
+
+
+def test_parts_of_the_skipgram_grow():
+    from linkgraph.operators import embed
+    from linkgraph.params import Params
+
+    p = Params(dim=300)
+    assert embed.task_parts(0, 0, p) == 1 == embed.task_parts(900_000, 60_000, p)
+    # no task can meet more nodes than it has room for
+    assert all(-(-steps // embed.task_parts(steps, 10**8, p)) * p.dim <= embed.TASK_NUMBERS for steps in (10**6, 10**9))
+
+
+def test_link_skipgram_keeps_no_steps(spark, monkeypatch):
+    from linkgraph.operators import embed
+    from linkgraph.params import Params
+    from linkgraph.plans import link as plans
+
+    def refuse(*_, **__):
+        raise AssertionError("walks were written out")
+
+    _refuse_models(monkeypatch)
+    monkeypatch.setattr(plans.walk, "random_walks", refuse)
+    monkeypatch.setattr(embed, "task_parts", lambda *_: 3)
+    p = Params(walks_per_node=3, walk_length=8, dim=16, learner="w2v", tau_cid=0.3)
+    pair = _small_pair(spark)
+    pair = replace(pair, tables=(pair.tables[0].selectExpr("*", "cast(null as string) as empty"), pair.tables[1]))
+    for q in (p, replace(p, cid_edges=False, merge=False, weighted=False)):
+        got = {(r["left_key"], r["right_key"]): r["score"] for r in plans.link_columns(spark, pair, q).collect()}
+        assert set(got) == {(f"0:{a}", f"1:{b}") for a in ("label", "price", "empty") for b in ("name", "cost")} and np.isfinite(list(got.values())).all()
+        assert got["0:label", "1:name"] > got["0:label", "1:cost"]
