@@ -23,6 +23,29 @@ def test_walks_beyond_the_arrays_go_by_joins(spark, monkeypatch, name):
     catalog.QUERIES[name][0](spark, SF)
 
 
+@pytest.mark.parametrize("local_edges", [0, 4_000_000])
+def test_walks_read_what_their_edges_are_made_of_once(spark, monkeypatch, local_edges):
+    from linkgraph.operators import prepare
+    from linkgraph.plans import catalog
+
+    read, tokenize = spark.sparkContext.accumulator(0), prepare.tokenize
+
+    def counted(cells, mode="token"):
+        def run(frames):
+            for f in frames:
+                read.add(len(f))
+                yield f
+
+        return tokenize(cells.mapInPandas(run, cells.schema), mode)
+
+    for module in (prepare, catalog.graph):
+        monkeypatch.setattr(module, "tokenize", counted)
+    monkeypatch.setattr(catalog, "W", replace(catalog.W, local_edges=local_edges))
+    got = catalog.QUERIES["embed_w2v"][0](spark, SF).collect()
+    assert len(got) == len({r["node_id"] for r in got}) and {r["dim"] for r in got} == {catalog.W.dim}
+    assert read.value == catalog._cells(spark, SF).count()
+
+
 @pytest.mark.parametrize("name", ["vec_label_retrieval", "eval_ranking"])
 def test_vector_queries_send_no_pairs_through_a_join(spark, monkeypatch, name):
     import duckdb
