@@ -92,3 +92,34 @@ def test_settings_of_the_ablation_go_at_once(monkeypatch):
     pair = w.TablePair((), ())
     rows = w.plans.ablate(Session(), pair)
     assert len(rows) == 14 and rows[0][0] == "edges=1 merge=1 weights=1" and rows[-1][0] == "without c_f"
+
+
+def test_rows_of_a_pair_and_its_profile_are_made_once(spark, monkeypatch):
+    from dataclasses import replace
+
+    from linkgraph.operators import colsim
+    from linkgraph.sources import bases
+
+    sf, read, made, base, profile = "/root/testdata/sf0.001", spark.sparkContext.accumulator(0), spark.sparkContext.accumulator(0), bases.base, colsim.profile
+
+    def counted(df, n):
+        def run(frames):
+            for f in frames:
+                n.add(len(f))
+                yield f
+
+        return df.mapInPandas(run, df.schema)
+
+    def counted_base(*where):
+        df, key = base(*where)
+        return counted(df, read), key
+
+    monkeypatch.setattr(bases, "base", counted_base)
+    monkeypatch.setattr(colsim, "profile", lambda pair: counted(profile(pair), made))
+    pair = w.workload(spark, sf, "K", scale=0.2)
+    result = w.plans.matched(spark, pair, replace(w.RUN, walks_per_node=1, dim=16))
+    assert {r["task"] for r in w.plans.scored(spark, pair, result, "CG").collect()} == {"SM", "ER"}
+    assert (pair.tables[0].count(), pair.tables[1].count(), pair.true_records.count()) == (50, 50, 10)
+    result.release()
+    assert read.value == base(spark, sf, "BC")[0].count()
+    assert made.value == len(pair.columns(0)) + len(pair.columns(1))
