@@ -200,3 +200,21 @@ def test_cleaning(spark):
     ids = prepare.with_rid(df.union(df), 0)
     assert ids.select("rid").distinct().count() == 6
     assert prepare.sentence("fundingTotal_eur", "Money given") == "funding total eur meaning money given"
+
+
+def test_ppmi_query_shifts_and_projects(spark):
+    import math
+
+    counts = {(1, 2): 8, (2, 1): 8, (1, 3): 1, (3, 1): 1, (4, 5): 4, (5, 4): 4, (6, 7): 1, (7, 6): 1}
+    pairs = spark.createDataFrame([(a, b, n) for (a, b), n in counts.items()], "center long, context long, n long")
+    p = replace(P, dim=2)
+    rows = embed.shifted_entries(pairs, p).collect()
+    total, of = sum(counts.values()), {}
+    for (a, _), n in counts.items():
+        of[a] = of.get(a, 0) + n
+    want = {(a, b): math.log(n * total / (of[a] * of[b])) - math.log(embed.NEGATIVES) for (a, b), n in counts.items()}
+    assert {(r["center"], r["context"]): round(r["x"], 9) for r in rows} == {k: round(x, 9) for k, x in want.items() if x > 0} != {}
+    assert len(rows) < sum(x + math.log(embed.NEGATIVES) > 0 for x in want.values())
+    values = spark.createDataFrame([(r["center"], r["context"], r["x"]) for r in rows], "center long, context long, x double")
+    held = {(r["node_id"], r["slot"]): round(r["x"], 9) for r in embed.projected(values, p.dim, p.seed).collect()}
+    assert {(r["center"], r["slot"]): round(r["v"], 9) for r in rows} == held
