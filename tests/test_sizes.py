@@ -190,6 +190,21 @@ def test_mutual_best_over_blocks_and_ties(spark):
     assert mutual_best(left, right.filter("key < ''"), 0.2, 3).count() == 0 == mutual_best(left.filter("key < ''"), right, 0.2, 3).count()
 
 
+def test_mutual_best_takes_a_large_right_side_in_turns(spark):
+    from linkgraph.operators.embed import mutual_best
+
+    rng = np.random.default_rng(5)
+    side = lambda n, s: spark.createDataFrame([(f"{s}:{i}", v.tolist()) for i, v in enumerate(rng.normal(size=(n, 8)))], "key string, vec array<double>")
+    left, right = side(900, 0), side(500, 1)
+    right = right.union(right.limit(5).selectExpr("concat(key, 'x')", "vec"))
+    rows = lambda df: sorted((r[0], r[1], round(r[2], 6)) for r in df.collect())
+    a, b = (np.array([r["vec"] for r in df.orderBy("key").collect()]) for df in (left, right))
+    keys = [[r["key"] for r in df.orderBy("key").collect()] for df in (left, right)]
+    score = np.round(a / np.linalg.norm(a, axis=1, keepdims=True) @ (b / np.linalg.norm(b, axis=1, keepdims=True)).T, 12)
+    want = sorted((keys[0][i], keys[1][j], round(float(score[i, j]), 6)) for i, j in enumerate(score.argmax(axis=1)) if score[:, j].argmax() == i and score[i, j] >= 0.5)
+    assert rows(mutual_best(left, right, 0.5, 8, limit=10_000)) == want == rows(mutual_best(left, right, 0.5, 8))
+
+
 @pytest.mark.parametrize("all_pairs", [60_000, 0])
 def test_tokens_merge_without_joins_of_pairs(spark, monkeypatch, all_pairs):
     from pyspark.sql import functions as F
