@@ -302,3 +302,20 @@ def test_link_skipgram_keeps_no_steps(spark, monkeypatch):
         got = {(r["left_key"], r["right_key"]): r["score"] for r in plans.link_columns(spark, pair, q).collect()}
         assert set(got) == {(f"0:{a}", f"1:{b}") for a in ("label", "price", "empty") for b in ("name", "cost")} and np.isfinite(list(got.values())).all()
         assert got["0:label", "1:name"] > got["0:label", "1:cost"]
+
+
+@pytest.mark.parametrize("change", [{"cid_edge_mass": "unit"}, {"cid_edges": False, "merge": False, "weighted": False, "token_mode": "cell"}])
+def test_column_scores_of_larger_graphs_are_those_of_small_ones(spark, monkeypatch, change):
+    from linkgraph.params import Params
+    from linkgraph.plans import link as plans
+
+    def refuse(*_, **__):
+        raise AssertionError("a graph beyond local_edges was walked by joins, or put in order on the driver")
+
+    p = replace(Params(walks_per_node=3, walk_length=8, dim=32, tau_cid=0.3), **change)
+    scores = lambda q: {(r["left_key"], r["right_key"]): r["score"] for r in plans.link_columns(spark, _small_pair(spark), q).collect()}
+    want = scores(p)
+    for name in ("random_walks", "arrays_of", "arrays_of_graph"):
+        monkeypatch.setattr(plans.walk, name, refuse)
+    got = scores(replace(p, local_edges=60))
+    assert want and got == pytest.approx(want, abs=1e-9)
