@@ -319,3 +319,25 @@ def test_column_scores_of_larger_graphs_are_those_of_small_ones(spark, monkeypat
         monkeypatch.setattr(plans.walk, name, refuse)
     got = scores(replace(p, local_edges=60))
     assert want and got == pytest.approx(want, abs=1e-9)
+
+
+def test_matches_of_larger_graphs_are_those_of_small_ones(spark, monkeypatch):
+    from linkgraph.params import Params
+    from linkgraph.plans import link as plans
+
+    def refuse(*_, **__):
+        raise AssertionError("a graph beyond local_edges was walked by joins, or put in order on the driver")
+
+    p = Params(walks_per_node=3, walk_length=8, dim=32, er_candidates="all", tau_cid=0.3)
+
+    def found(q):
+        got = plans.matched(spark, _small_pair(spark), q)
+        rows = [{(r["left_key"], r["right_key"]): r["score"] for r in x.collect()} for x in (got.column_matches, got.record_matches)]
+        got.release()
+        return rows
+
+    want = found(p)
+    for name in ("random_walks", "arrays_of", "arrays_of_graph"):
+        monkeypatch.setattr(plans.walk, name, refuse)
+    got = found(replace(p, local_edges=60))
+    assert all(a and b == pytest.approx(a, abs=1e-9) for a, b in zip(want, got, strict=True))
